@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from meshcut.llm import contamination, line_dedup, packing, simhash, toxicity
+from meshcut.llm import contamination, line_dedup, packing, pii, quality, simhash, toxicity
 
 
 def queries():
     return {
         "op1_simhash_groups": simhash.simhash_groups,
+        "op2_personal_data": pii.pii,
         "op4_curve_packing": packing.packing,
+        "op5_quality_rules": quality.quality_rules,
         "op7_line_dedup": line_dedup.line_dedup,
         "op8_decontamination": contamination.decontamination,
         "op10_toxicity": toxicity.toxicity,
