@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
-from meshcut.llm import contamination, line_dedup, packing, pii, quality, simhash, toxicity
+from meshcut.llm import contamination, line_dedup, packing, passage_chains, pii, quality, simhash, suffix_dedup, suffix_tree_lm, toxicity
 
 
 def queries():
     return {
         "op1_simhash_groups": simhash.simhash_groups,
         "op2_personal_data": pii.pii,
+        "op3_passage_chains": passage_chains.passage_pairs,
         "op4_curve_packing": packing.packing,
         "op5_quality_rules": quality.quality_rules,
+        "op6_suffix_tree_lm": suffix_tree_lm.lm_scores,
         "op7_line_dedup": line_dedup.line_dedup,
         "op8_decontamination": contamination.decontamination,
+        "op9_suffix_dedup": suffix_dedup.suffix_dedup,
         "op10_toxicity": toxicity.toxicity,
     }
 
