@@ -126,6 +126,7 @@ def find_stretches(rows: DataFrame, least: int) -> DataFrame:
 
 FOUND = "kind int, h long, id long, at long, n int, lead int"
 FOUND_NAMES = [x.split()[0] for x in FOUND.split(", ")]
+FOUND_TYPES = [{"int": np.int32, "long": np.int64}[x.split()[1]] for x in FOUND.split(", ")]
 
 
 def meet(batches):
@@ -152,7 +153,7 @@ def meet(batches):
             if len(fh):
                 if pending is not None:
                     if prev[0]:
-                        yield _batch([[x] for x in (1, *pending)], FOUND_NAMES)
+                        yield _batch([np.array([x], t) for x, t in zip((1, *pending), FOUND_TYPES)], FOUND_NAMES)
                     pending = None
                 after = np.concatenate([fh[1:] == fh[:-1], [False]])
                 out = firsts[prev | after]
