@@ -131,16 +131,16 @@ class Index:
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, *keep: str, width: int = 8, least: float = 0.5, consistent: float = 0.8, block: int = 2_000_000) -> DataFrame:
-    """The columns named in keep, with `_items` (ids, ascending) and `_coverage` (the largest; 0 if none)."""
+    """The columns named in keep, with `_mc_items` (ids, ascending) and `_mc_coverage` (the largest; 0 if none)."""
     spark = docs.sparkSession
     common.prepare(spark)
     items = benchmark.where("text is not null and item_id is not null").select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("binary").alias("body")).distinct()
     total = items.agg(F.coalesce(F.sum(F.length("body")), F.lit(0))).first()[0]
     blocks = max(1, -(-total // (4 * block)))  # a word and its blank have two bytes or more
     fields = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep)
-    body = F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_body")
-    out = docs.select(body, *keep, F.lit(None).cast("array<bigint>").alias("_items"), F.lit(0.0).alias("_coverage"))
-    schema = f"_body binary, {fields}, _items array<bigint>, _coverage double"
+    body = F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_mc_body")
+    out = docs.select(body, *keep, F.lit(None).cast("array<bigint>").alias("_mc_items"), F.lit(0.0).alias("_mc_coverage"))
+    schema = f"_mc_body binary, {fields}, _mc_items array<bigint>, _mc_coverage double"
     for n in range(blocks):
         mine = items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == n)
         sent = spark.sparkContext.broadcast(Index(sorted((r[0], bytes(r[1])) for r in mine.collect()), width))
@@ -156,16 +156,16 @@ def leaks(docs: DataFrame, benchmark: DataFrame, *keep: str, width: int = 8, lea
                 yield pa.RecordBatch.from_arrays([*b.columns[:-2], pa.array(ids, pa.list_(pa.int64())), pa.array(best, pa.float64())], names=[f.name for f in b.schema])
 
         out = out.mapInArrow(run, schema)
-    return out.drop("_body")
+    return out.drop("_mc_body")
 
 
 def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, contaminated, item_ids and coverage of every document."""
     out = leaks(common.table(spark, sf_dir, "documents"), common.table(spark, sf_dir, "benchmark"), "doc_id")
-    return out.select("doc_id", (F.size("_items") > 0).alias("contaminated"), F.col("_items").alias("item_ids"), F.round("_coverage", 6).alias("coverage"))
+    return out.select("doc_id", (F.size("_mc_items") > 0).alias("contaminated"), F.col("_mc_items").alias("item_ids"), F.round("_mc_coverage", 6).alias("coverage"))
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents that hold a benchmark item go."""
     out = leaks(docs, common.table(spark, sf_dir, "benchmark"), *docs.columns)
-    return out.where(F.size("_items") == 0).select(*docs.columns)
+    return out.where(F.size("_mc_items") == 0).select(*docs.columns)

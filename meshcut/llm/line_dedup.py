@@ -69,23 +69,23 @@ def later_lines(docs: DataFrame, run: int = 3) -> DataFrame:
 
 
 def dedup_lines(docs: DataFrame, run: int = 3) -> DataFrame:
-    """docs with the later lines out of `text`, and `_gone`, the deleted lines' numbers (null: none)."""
+    """docs with the later lines out of `text`, and `_mc_gone`, the deleted lines' numbers (null: none)."""
     common.prepare(docs.sparkSession)
-    keyed = docs.withColumns({"_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_th": common.text_hash()})
-    joined = keyed.join(later_lines(docs, run).withColumnRenamed("gone", "_gone"), ["_id", "_th"], "left")
-    rest = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_gone", i)), "\n")
-    return joined.withColumn("text", F.when(F.col("_gone").isNotNull(), rest).otherwise(F.col("text"))).drop("_id", "_th")
+    keyed = docs.withColumns({"_mc_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_mc_th": common.text_hash()})
+    joined = keyed.join(later_lines(docs, run).toDF("_mc_id", "_mc_th", "_mc_gone"), ["_mc_id", "_mc_th"], "left")
+    rest = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_mc_gone", i)), "\n")
+    return joined.withColumn("text", F.when(F.col("_mc_gone").isNotNull(), rest).otherwise(F.col("text"))).drop("_mc_id", "_mc_th")
 
 
 def line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, n_removed (lines), kept_sha256 of every document."""
     out = dedup_lines(common.table(spark, sf_dir, "documents"))
-    return out.select("doc_id", F.coalesce(F.size("_gone"), F.lit(0)).cast("long").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
+    return out.select("doc_id", F.coalesce(F.size("_mc_gone"), F.lit(0)).cast("long").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
 
 
 def drop_later_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: every row stays, with its later lines gone; n_chars follows the text."""
     out = dedup_lines(docs)
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+        out = out.withColumn("n_chars", F.when(F.col("_mc_gone").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return out.select(*docs.columns)

@@ -111,11 +111,13 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 4000):
     # bounded by 2 * per_class rows, whatever the input
     rows = common.doc_rows(docs).join(F.broadcast(picked), "_id").groupBy("_id").agg(F.min("_body").alias("_body"), F.first("_toxic").alias("_toxic"), F.first("_weight").alias("_weight"))
     got = rows.select("_body", "_toxic", "_weight").orderBy(F.xxhash64("_body")).coalesce(1).mapInArrow(_fit_task, "w binary, bias double").first()
+    if got is None:  # no rows to learn from
+        return np.zeros(SLOTS, "<f4").tobytes(), -30.0
     return bytes(got[0]), got[1]
 
 
-def score_documents(docs: DataFrame, model, *keep: str) -> DataFrame:
-    """Adds `score` (0 to 1) to the columns named in keep."""
+def score_documents(docs: DataFrame, model, *keep: str, name: str = "score") -> DataFrame:
+    """Adds the score (0 to 1) to the columns named in keep."""
     spark = docs.sparkSession
     packed = spark.sparkContext.broadcast(model)
     fields = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep)
@@ -127,11 +129,11 @@ def score_documents(docs: DataFrame, model, *keep: str) -> DataFrame:
         for b in batches:
             z = np.array([w[feature_slots(x, place)].sum(dtype=np.float64) for x in b.column(0).to_pylist()], np.float64) + bias
             s = 1 / (1 + np.exp(-np.clip(z, -500, 500)))
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(s, pa.float64())], names=[*keep, "score"])
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(s, pa.float64())], names=[*keep, name])
 
     common.prepare(spark)
-    body = F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_body")
-    return docs.select(body, *keep).mapInArrow(run, f"{fields}, score double")
+    body = F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_mc_body")
+    return docs.select(body, *keep).mapInArrow(run, f"{fields}, {name} double")
 
 
 def toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -150,4 +152,4 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: rows scored 0.5 or more go, all columns stay."""
     common.prepare(spark)
     model = train(docs, common.table(spark, sf_dir, "labels"))
-    return score_documents(docs, model, *docs.columns).where("score < 0.5").select(*docs.columns)
+    return score_documents(docs, model, *docs.columns, name="_mc_score").where("_mc_score < 0.5").select(*docs.columns)
