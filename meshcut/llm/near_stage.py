@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -42,53 +43,76 @@ def signature(raw: bytes) -> tuple[int, list[int]]:
     return base, (flat * power).sum(axis=1).tolist()
 
 
-def near_links(texts: DataFrame, size: int, least: float, radius: int) -> DataFrame:
-    """(a, b) of classes (column _h, one row each, with _body) whose shingle sets are `least` alike or more."""
+def signatures(docs: DataFrame, size: int) -> DataFrame:
+    """(_id, _th, _h, fp, sigs) of every row: _h is the hash of the word sequence. No text leaves the map."""
 
-    def expand(batches):
-        errors = simhash.error_table()
+    def run(batches):
         for b in batches:
-            sig = [signature(simhash.shingle_digests(x, size)) for x in b.column(1).to_pylist()]
-            ids = b.column(0).to_numpy(zero_copy_only=False)
+            bodies = b.column(1).to_pylist()
+            h = [xxhash.xxh64_intdigest(b" ".join(x.translate(common.LOWER).split())) for x in bodies]
+            sig = [signature(simhash.shingle_digests(x, size)) for x in bodies]
             fp = np.array([s[0] for s in sig], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(np.array(h, np.uint64).view(np.int64)), pa.array(fp), pa.array([s[1] for s in sig], pa.list_(pa.int64()))], names=["_id", "_th", "_h", "fp", "sigs"])
+
+    rows = common.doc_rows(docs, common.text_hash().alias("_th"))
+    return rows.mapInArrow(run, "_id long, _th long, _h long, fp long, sigs array<bigint>")
+
+
+def bucket_rows(batches):
+    """(key, fp) of every bucket of the eight fingerprints of (fp, sigs) rows."""
+    errors = simhash.error_table()
+    for b in batches:
+        fp = b.column(0).to_numpy(zero_copy_only=False)
+        sigs = np.array(b.column(1).to_pylist(), np.int64).reshape(len(fp), TABLES).astype(np.uint64)
+        for lo in range(0, len(fp), 10000):
             for t in range(TABLES):
-                v = np.array([s[1][t] for s in sig], np.uint64)
-                lo = simhash.golay_keys((v & WORD).astype(np.uint32), errors)
-                hi = simhash.golay_keys((v >> np.uint64(23)).astype(np.uint32), errors)
-                fresh = [np.concatenate([np.ones((len(v), 1), bool), k[:, 1:] != k[:, :1]], axis=1) for k in (lo, hi)]
+                v = sigs[lo : lo + 10000, t]
+                one = simhash.golay_keys((v & WORD).astype(np.uint32), errors)
+                two = simhash.golay_keys((v >> np.uint64(23)).astype(np.uint32), errors)
+                fresh = [np.concatenate([np.ones((len(v), 1), bool), k[:, 1:] != k[:, :1]], axis=1) for k in (one, two)]
+                keys, rows = [], []
                 for i in range(6):
                     for j in range(6):
                         r = np.nonzero(fresh[0][:, i] & fresh[1][:, j])[0]
-                        if len(r):
-                            k = (np.int64(t) << 24) | (lo[r, i].astype(np.int64) << 12) | hi[r, j]
-                            yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(fp[r]), pa.array(ids[r])], names=["key", "fp", "h"])
+                        keys.append((t << 24) | (one[r, i].astype(np.int32) << 12) | two[r, j].astype(np.int32))
+                        rows.append(r)
+                r = np.concatenate(rows)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).astype(np.int32)), pa.array(fp[lo : lo + 10000][r])], names=["key", "fp"])
+
+
+def near_pairs(radius: int):
+    """Of rows by key and fp: neighbours in a bucket, and each with the bucket's first, within the radius."""
 
-    def pairs(batches):
-        """Neighbours in a bucket's fingerprint order, and each with the bucket's first, within the radius."""
-        last = None
+    def run(batches):
+        last = None  # key, fingerprint, the key's first fingerprint
         for b in batches:
-            k, f, h = (b.column(c).to_numpy(zero_copy_only=False) for c in range(3))
-            u = f.view(np.uint64)
-            edge = np.concatenate([[True], k[1:] != k[:-1]])
-            if last is not None and last[0] == k[0]:
-                edge[0] = False
+            k, u = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False).view(np.uint64)
+            edge = np.concatenate([[last is None or last[0] != k[0]], k[1:] != k[:-1]])
             start = np.maximum.accumulate(np.where(edge, np.arange(len(k)), -1))
-            head_f = np.where(start >= 0, u[np.maximum(start, 0)], np.uint64(last[3]) if last else 0)
-            head_h = np.where(start >= 0, h[np.maximum(start, 0)], last[4] if last else 0)
-            prev_f = np.concatenate([[np.uint64(last[1]) if last else 0], u[:-1]]).astype(np.uint64)
-            prev_h = np.concatenate([[last[2] if last else 0], h[:-1]]).astype(np.int64)
-            a, c = [], []
-            for of, oh in ((head_f, head_h), (prev_f, prev_h)):
-                near = ~edge & (np.bitwise_count(u ^ of) <= radius) & (oh != h)
-                a.append(np.minimum(oh, h)[near])
-                c.append(np.maximum(oh, h)[near])
-            both = np.unique(np.stack([np.concatenate(a), np.concatenate(c)], axis=1), axis=0)
-            last = (k[-1], u[-1], h[-1], head_f[-1], head_h[-1])
+            head = np.where(start >= 0, u[np.maximum(start, 0)], last[2] if last else np.uint64(0))
+            before = np.concatenate([[last[1] if last else np.uint64(0)], u[:-1]]).astype(np.uint64)
+            found = []
+            for other in (head, before):
+                near = ~edge & (u != other) & (np.bitwise_count(u ^ other) <= radius)
+                found.append(np.stack([other[near].view(np.int64), u[near].view(np.int64)], axis=1))
+            both = np.unique(np.concatenate(found), axis=0)
+            last = (k[-1], u[-1], head[-1])
             if len(both):
-                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["fa", "fb"])
 
-    buckets = texts.select("_h", "_body").mapInArrow(expand, "key long, fp long, h long").repartition("key").sortWithinPartitions("key", "fp")
-    return common.written(buckets.mapInArrow(pairs, "a long, b long").distinct(), "near")
+    return run
+
+
+def candidate_links(classes: DataFrame, radius: int) -> DataFrame:
+    """(a, b) of class hashes to compare. classes: one row a class, with _h, fp and sigs."""
+    parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    buckets = classes.select("fp", "sigs").repartition(parts).mapInArrow(bucket_rows, "key int, fp long").repartition("key").sortWithinPartitions("key", "fp")
+    pairs = common.written(buckets.mapInArrow(near_pairs(radius), "fa long, fb long").distinct(), "near")
+    heads = classes.groupBy("fp").agg(F.min("_h").alias("head"))
+    one, two = (heads.select(F.col("fp").alias(f), F.col("head").alias(h)) for f, h in (("fa", "a"), ("fb", "b")))
+    across = pairs.join(one, "fa").join(two, "fb").select("a", "b")
+    inside = classes.join(heads, "fp").where("_h <> head").select(F.col("head").alias("a"), F.col("_h").alias("b"))
+    return common.written(across.unionByName(inside), "near-candidates")
 
 
 def verified(links: DataFrame, texts: DataFrame, size: int, least: float) -> DataFrame:
@@ -102,30 +126,34 @@ def verified(links: DataFrame, texts: DataFrame, size: int, least: float) -> Dat
             keep = pa.array(ok, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], names=["a", "b"])
 
-    used = texts.join(links.select(F.explode(F.array("a", "b")).alias("_h")).distinct(), "_h", "left_semi").select("_h", "_body")
-    used = common.written(used, "near-texts")
-    one, two = (used.select(F.col("_h").alias(k), F.col("_body").alias(f"{k}_body")) for k in "ab")
+    one, two = (texts.select(F.col("_h").alias(k), F.col("_body").alias(f"{k}_body")) for k in "ab")
     return links.join(one, "a").join(two, "b").select("a", "b", "a_body", "b_body").mapInArrow(alike, "a long, b long")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str, size: int = 5, least: float = 0.8, radius: int = 16) -> DataFrame:
     """Pipeline stage: one document of each class stays, with all columns."""
     common.prepare(spark)
-    flat = F.trim(F.regexp_replace(F.translate(F.coalesce(F.col("text"), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), common.BLANK + "+", " "))
-    keyed = docs.withColumns({"_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_th": common.text_hash(), "_h": F.xxhash64(flat)})
-    rows = common.written(keyed.select("_id", "_th", "_h"), "near-rows")
+    rows = common.written(signatures(docs, size), "near-rows")
     # the text that stands for a class is that of its first row
-    classes = rows.groupBy("_h").agg(F.min(F.struct("_id", "_th")).alias("_first"))
-    texts = keyed.join(classes.select("_h", F.col("_first._id").alias("_id"), F.col("_first._th").alias("_th")), ["_h", "_id", "_th"], "left_semi").select("_h", F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_body"))
-    texts = texts.groupBy("_h").agg(F.min("_body").alias("_body"))
-    texts = common.written(texts, "near-classes")
-    links = verified(near_links(texts, size, least, radius), texts, size, least)
-    found = common.connected_components(common.written(links, "near-links"))
-    named = classes.join(found.withColumnRenamed("node", "_h"), "_h", "left").select(F.coalesce("component", "_h").alias("_c"), "_first")
-    kept = named.groupBy("_c").agg(F.min("_first").alias("_first")).select("_first._id", "_first._th")
-    out = keyed.join(kept, ["_id", "_th"], "left_semi")
+    first = F.min(F.struct("_id", "_th", "fp", "sigs"))
+    classes = common.written(rows.groupBy("_h").agg(first.alias("_first")).select("_h", "_first.*"), "near-classes")
+    links = candidate_links(classes, radius)
+    common.release(spark)
+    used = links.select(F.explode(F.array("a", "b")).alias("_h")).distinct().join(classes, "_h").select("_h", "_id", "_th")
+    keyed = docs.withColumns({"_mc_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_mc_th": common.text_hash()})
+    texts = keyed.select(F.col("_mc_id").alias("_id"), F.col("_mc_th").alias("_th"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("_body")).join(used, ["_id", "_th"]).select("_h", "_body")
+    texts = common.written(texts.groupBy("_h").agg(F.first("_body").alias("_body")), "near-texts")
+    common.release(spark)
+    found = connected_by(verified(links, texts, size, least))
+    named = classes.join(found.withColumnRenamed("node", "_h"), "_h", "left").select(F.coalesce("component", "_h").alias("_c"), F.struct("_id", "_th").alias("_first"))
+    kept = named.groupBy("_c").agg(F.min("_first").alias("_first")).select(F.col("_first._id").alias("_mc_id"), F.col("_first._th").alias("_mc_th"))
+    out = keyed.join(kept, ["_mc_id", "_mc_th"], "left_semi")
     # identical rows of a class differ in no key: one of them stays
     twice = rows.groupBy("_id", "_th").count().where("count > 1")
     if twice.limit(1).count():
-        out = out.dropDuplicates(["_id", "_th"])
+        out = out.dropDuplicates(["_mc_id", "_mc_th"])
     return out.select(*docs.columns)
+
+
+def connected_by(links: DataFrame) -> DataFrame:
+    return common.connected_components(common.written(links, "near-links"))
