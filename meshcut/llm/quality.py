@@ -62,7 +62,7 @@ def measured(docs: DataFrame, *keep: str) -> DataFrame:
     n_words = F.size("_w").cast("long")
     char_counts = F.array(*(c.cast("double") for c in (F.col("_upper"), F.col("_n") - F.col("_r") - F.col("_upper"), only("[0-9]+"), F.col("_r") - F.length("_marks"), only(r"[.,;:!?'\"()-]+"), only(r"[#*$%&|<>=_{}/\\\[\]~^@+]+"), F.length(F.regexp_replace("_marks", r"[0-9.,;:!?'\"()#*$%&|<>=_{}/\\\[\]~^@+-]+", "")))))
     most = max(len(x) for x in COMMON_WORDS.values())
-    slots = F.when(F.size("_hits") > 0, F.transform(F.sequence(F.lit(1), F.lit(most)), lambda c: F.size(F.filter("_hits", lambda p: p == c)).cast("double"))).otherwise(F.array_repeat(F.lit(0.0), most))
+    slots = F.when(F.size("_hits") > 0, F.array(*((F.size("_hits") - F.size(F.array_remove("_hits", F.lit(c).cast("long")))).cast("double") for c in range(1, most + 1)))).otherwise(F.array_repeat(F.lit(0.0), most))
     return three.select(
         *keep, "_lang", n_words.alias("n_words"),
         F.length(F.translate("_text", " \t\n\x0b\x0c\r", "")).cast("long").alias("word_chars"),
