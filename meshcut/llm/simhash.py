@@ -138,8 +138,11 @@ def forest(fp: np.ndarray, radius: int) -> tuple[list, list]:
     return a, b
 
 
-def scan_buckets(radius: int, hot: int):
-    """Reads (key, fp) rows where equal keys are neighbours; gives links and, for keys over `hot` rows, those rows."""
+def scan_buckets(radius: int, hot: int, sifted: int = 4):
+    """Reads (key, fp) rows where equal keys are neighbours; gives links and, for keys over `hot` rows, those rows.
+
+    Buckets of up to `sifted` rows are first searched for any link all at once, for data where most have none.
+    """
     none = np.empty(0, np.int64)
 
     def links(key, fp):
@@ -156,7 +159,17 @@ def scan_buckets(radius: int, hot: int):
                 near = (key[off:] == key[:-off]) & row_small[off:] & (np.bitwise_count(u[off:] ^ u[:-off]) <= radius) & (u[off:] != u[:-off])
                 a.append(fp[:-off][near])
                 b.append(fp[off:][near])
-        for s, e in zip(starts[~small], ends[~small]):
+        more = ~small
+        if sifted > 4:
+            middle = more & (n <= sifted)
+            bucket, hit = np.repeat(np.arange(len(n)), n), np.zeros(len(n), bool)
+            of_middle = np.nonzero(middle[bucket])[0]
+            g, v = bucket[of_middle], u[of_middle]
+            for off in range(1, int(n[middle].max(initial=1))):
+                near = (g[off:] == g[:-off]) & (np.bitwise_count(v[off:] ^ v[:-off]) <= radius) & (v[off:] != v[:-off])
+                hit[g[off:][near]] = True
+            more &= ~middle | hit
+        for s, e in zip(starts[more], ends[more]):
             x, y = forest(np.unique(u[s:e]), radius)
             if x:
                 a.append(np.array(x, np.uint64).view(np.int64))
@@ -207,8 +220,7 @@ def scan_buckets(radius: int, hot: int):
 
 def linked(fps: DataFrame, radius: int = 4, hot: int = 2048, keys=bucket_keys) -> DataFrame:
     """(a, b): links that span the components of all fingerprints (column fp, distinct) within `radius` bits."""
-    spark = fps.sparkSession
-    common.prepare(spark)
+    common.prepare(fps.sparkSession)
 
     def expand(batches):
         errors = error_table()
@@ -219,9 +231,14 @@ def linked(fps: DataFrame, radius: int = 4, hot: int = 2048, keys=bucket_keys) -
                 k, r = keys(np.ascontiguousarray(x).view(np.uint64), errors)
                 yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(x[r])], names=["key", "fp"])
 
+    return bucket_links(fps.select("fp").mapInArrow(expand, "key long, fp long"), radius, hot)
+
+
+def bucket_links(rows: DataFrame, radius: int, hot: int = 2048, sifted: int = 4) -> DataFrame:
+    """(a, b): links that span the components of the fingerprints of every bucket, of (key, fp) rows."""
     schema = "a long, b long, hot_key long, hot_fp long"
-    buckets = fps.select("fp").mapInArrow(expand, "key long, fp long").repartition("key").sortWithinPartitions("key")
-    first = common.written(buckets.mapInArrow(scan_buckets(radius, hot), schema), "buckets")
+    buckets = rows.repartition("key").sortWithinPartitions("key")
+    first = common.written(buckets.mapInArrow(scan_buckets(radius, hot, sifted), schema), "buckets")
     out = first.where("a is not null").select("a", "b")
     rows = first.where("hot_key is not null").select(F.col("hot_key").alias("key"), F.col("hot_fp").alias("fp")).distinct()
     if rows.limit(1).count():

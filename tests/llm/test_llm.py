@@ -420,6 +420,36 @@ def test_near_stage_matches_jaccard(spark):
     assert want <= got and len(got - want) <= 1
 
 
+def test_near_candidates_in_crowded_buckets(spark):
+    """All texts share all buckets: each pair of close ones is still a candidate."""
+    random.seed(16)
+    rows = []
+    for h in range(200):
+        fp, other = random.getrandbits(64), random.getrandbits(64)
+        for k in (0, 1):
+            rows.append((2 * h + k, *((x ^ k * (1 << 62 | 1 << 40) ^ 1 << 63) - (1 << 63) for x in (fp, other)), [0] * near_stage.TABLES))
+    links = near_stage.candidate_links(spark.createDataFrame(rows, "_h long, fp long, other long, sigs array<bigint>"), 16).collect()
+    up = components(400, [(a, b) for a, b in links])
+    assert all(up[2 * h] == up[2 * h + 1] for h in range(200)) and len(set(up)) > 150
+
+
+def test_near_stage_on_a_loose_group(spark):
+    """One group of which a quarter of the pairs are alike, larger than a block."""
+    random.seed(26)
+    base = [f"w{i}" for i in range(150)]
+    rows = []
+    for n in range(near_stage.BLOCK + 100):
+        w = list(base)
+        for k in random.sample(range(len(w)), random.randint(1, 7)):
+            w[k] = f"x{random.randint(0, 9999)}"
+        rows.append((n, " ".join(w)))
+    sets = [frozenset(tuple(t.split()[k : k + 5]) for k in range(146)) for _, t in rows]
+    links = [(a, b) for a, b in itertools.combinations(range(len(rows)), 2) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    want = set(components(len(rows), links))
+    got = {r["doc_id"] for r in near_stage.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id long, text string"), SF).collect()}
+    assert want <= got and len(got - want) <= 1
+
+
 def test_pipeline_runs(spark):
     import corpus_pipeline
 
