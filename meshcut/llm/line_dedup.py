@@ -9,6 +9,9 @@ windows add up, so the whole later run goes, however long; a run that overlaps i
 Only lines' hashes, never texts or all pairs of a group, are shuffled to find repeats; counts and first positions are
 combined on the map side, so a line in a third of all texts stays cheap. Texts shorter than `run` lines, null and empty
 texts stay as they are. Identical rows (same id and text) count as one place: none of them is later than the other.
+
+The query is this, as its SQL says. The pipeline stage also takes runs of fewer lines if they have `words` words or more, so
+that a repeated passage goes whether it is one long line or many short ones.
 """
 
 from __future__ import annotations
@@ -24,15 +27,27 @@ from meshcut.llm import common
 PLACES = "print long, _id long, _th long, first int, last int, run_hash long"
 
 
-def line_windows(body: bytes, run: int):
-    """(fingerprint, first line, last line, window hash) of the windows around each fingerprint."""
+def line_windows(body: bytes, run: int, words: int | None = None):
+    """(fingerprint, first line, last line, window hash) of the windows around each fingerprint, and of the shorter runs of
+    `words` words or more (none if null), which are their own fingerprints."""
     lines = body.split(b"\n")
     at = [i for i, x in enumerate(lines) if x.strip()]
-    if len(at) < run:
+    if len(at) < run and (words is None or not at):
         return None
     raw = b"".join([xxhash.xxh64_digest(lines[i]) for i in at])
     h = np.frombuffer(raw, ">u8").astype(np.uint64)
     at = np.array(at, np.int32)
+    parts = [full_windows(h, at, run)] if len(at) >= run else []
+    if words is not None:
+        upto = np.cumsum([0, *(len(lines[i].split()) for i in at)])
+        for n in range(1, min(run, len(at) + 1)):
+            s = np.nonzero(upto[n:] - upto[:-n] >= words)[0]
+            own = common.rolled(h, n)[s] ^ np.uint64(n)
+            parts.append((own, at[s], at[s + n - 1], own))
+    return tuple(np.concatenate(x) for x in zip(*parts))
+
+
+def full_windows(h: np.ndarray, at: np.ndarray, run: int):
     chosen = common.window_minima(h, run)
     windows = common.rolled(h, run)
     p = np.repeat(chosen, run)
@@ -42,14 +57,14 @@ def line_windows(body: bytes, run: int):
     return h[p], at[s], at[s + run - 1], windows[s]
 
 
-def later_lines(docs: DataFrame, run: int = 3) -> DataFrame:
+def later_lines(docs: DataFrame, run: int = 3, words: int | None = None) -> DataFrame:
     """(_id, _th, gone): the numbers of the lines to delete, for texts that have any."""
 
     def places(batches):
         for b in batches:
             ids, ths, cols = b.column(0).to_pylist(), b.column(2).to_pylist(), []
             for i, body, th in zip(ids, b.column(1).to_pylist(), ths):
-                got = line_windows(body, run)
+                got = line_windows(body, run, words)
                 if got is not None:
                     n = len(got[0])
                     cols.append((got[0], np.full(n, i), np.full(n, th), *got[1:]))
@@ -68,11 +83,11 @@ def later_lines(docs: DataFrame, run: int = 3) -> DataFrame:
     return later.select("_id", "_th", F.explode(F.sequence("first", "last")).alias("line")).groupBy("_id", "_th").agg(F.collect_set("line").alias("gone"))
 
 
-def dedup_lines(docs: DataFrame, run: int = 3) -> DataFrame:
+def dedup_lines(docs: DataFrame, run: int = 3, words: int | None = None) -> DataFrame:
     """docs with the later lines out of `text`, and `_mc_gone`, the deleted lines' numbers (null: none)."""
     common.prepare(docs.sparkSession)
     keyed = docs.withColumns({"_mc_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_mc_th": common.text_hash()})
-    joined = keyed.join(later_lines(docs, run).toDF("_mc_id", "_mc_th", "_mc_gone"), ["_mc_id", "_mc_th"], "left")
+    joined = keyed.join(later_lines(docs, run, words).toDF("_mc_id", "_mc_th", "_mc_gone"), ["_mc_id", "_mc_th"], "left")
     rest = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_mc_gone", i)), "\n")
     return joined.withColumn("text", F.when(F.col("_mc_gone").isNotNull(), rest).otherwise(F.col("text"))).drop("_mc_id", "_mc_th")
 
@@ -83,9 +98,9 @@ def line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(F.size("_mc_gone"), F.lit(0)).cast("long").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
 
 
-def drop_later_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def drop_later_lines(spark: SparkSession, docs: DataFrame, sf_dir: str, words: int = 50) -> DataFrame:
     """Pipeline stage: every row stays, with its later lines gone; n_chars follows the text."""
-    out = dedup_lines(docs)
+    out = dedup_lines(docs, words=words)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_mc_gone").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return out.select(*docs.columns)

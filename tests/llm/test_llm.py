@@ -177,6 +177,15 @@ def test_line_dedup_is_its_sql(spark):
     assert sorted(map(tuple, line_dedup.line_dedup(spark, SF).collect())) == want
 
 
+def test_line_stage_takes_short_runs_of_many_words(spark):
+    """Passages of one and of two lines; shorter ones and the first occurrence stay."""
+    line = lambda tag, n: " ".join(f"{tag}{i}" for i in range(n))
+    one, two, few = line("a", 55), line("b", 30) + "\n\n" + line("c", 25), line("d", 40)
+    rows = [(1, f"{one}\nx1\n{two}\nx2\n{few}"), (2, one), (3, f"y1\n{two}\ny2"), (4, f"z1\n{few}"), (5, f"{line('b', 30)}\nmore")]
+    out = line_dedup.drop_later_lines(spark, spark.createDataFrame(rows, "doc_id long, text string"), SF)
+    assert dict(map(tuple, out.collect())) == {1: rows[0][1], 2: "", 3: "y1\ny2", 4: rows[3][1], 5: rows[4][1]}
+
+
 def test_suffix_order_is_sorted():
     random.seed(1)
     for _ in range(3000):
