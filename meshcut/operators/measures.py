@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import time
 
 import numpy as np
@@ -141,19 +142,24 @@ def block_diameters(edges: DataFrame, a: DataFrame, exact: bool = False, rounds:
     return rows.groupBy("block").applyInArrow(run, "block int, diam double")
 
 
-def block_levels(edges: DataFrame, a: DataFrame, starts: DataFrame, cap: int = 1000) -> DataFrame:
-    """(block, depth): breadth-first depth from one start a block, as frontier joins; for blocks too large for one task."""
+def block_levels(edges: DataFrame, a: DataFrame, starts: DataFrame, cap: int | None = None) -> DataFrame:
+    """(block, depth): breadth-first depth from one start a block, as frontier joins; for blocks too large for one task.
+
+    Goes on until no vertex is new; with a cap, raises if there are new ones after that many levels.
+    """
     from meshcut.sources.scratch import written
 
     inner = edge_blocks(edges, a).where("b1 = b2").select("src", "dst", "ew")
     both = arcs(inner)
     seen = written(starts.select("block", "pid", F.lit(0).alias("level")), "levels")
-    for level in range(cap):
+    for level in itertools.count():
         front = seen.where(F.col("level") == level)
         nxt = front.join(both, front["pid"] == both["src"]).select("block", F.col("dst").alias("pid")).distinct()
         new = nxt.join(seen, ["block", "pid"], "left_anti").withColumn("level", F.lit(level + 1))
         if not new.limit(1).count():
             break
+        if level == cap:
+            raise RuntimeError(f"blocks are deeper than {cap} levels; raise cap")
         seen = written(seen.unionByName(new), "levels")
     return seen.groupBy("block").agg(F.max("level").alias("depth"))
 
@@ -214,6 +220,8 @@ def components(edges: DataFrame, a: DataFrame, rounds: int = 200) -> DataFrame:
         label = new.select("pid", "block", "label")
         if not changed:
             break
+    else:
+        raise RuntimeError("components did not settle; raise rounds")
     return label.groupBy("block").agg(F.count_distinct("label").alias("n"))
 
 

@@ -57,6 +57,17 @@ def test_diameters_of_a_path_and_two_islands(spark):
     assert dict(measures.components(e, a).collect()) == {0: 1, 1: 2}
 
 
+def test_searches_do_not_end_silently(spark):
+    a = spark.createDataFrame([(i, 0) for i in range(6)], "pid long, block int")
+    e = spark.createDataFrame([(i, i + 1, 1.0) for i in range(5)], "src long, dst long, ew double")
+    starts = spark.createDataFrame([(0, 0)], "block int, pid long")
+    assert dict(measures.block_levels(e, a, starts).collect()) == dict(measures.block_levels(e, a, starts, cap=5).collect()) == {0: 5}
+    with pytest.raises(RuntimeError):
+        measures.block_levels(e, a, starts, cap=4)
+    with pytest.raises(RuntimeError):
+        measures.components(e, a, rounds=1)
+
+
 def test_fringe_bound_is_within_half(spark):
     random.seed(3)
     for _ in range(20):
