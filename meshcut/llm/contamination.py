@@ -3,9 +3,10 @@
 A word becomes a typed placeholder if it holds a digit (number), is a unit right after a number, or is capitalised inside a
 sentence (name); other words lose case and outer punctuation. Windows of `width` template words of every benchmark item
 (whole items if shorter) are hashed and joined with the windows of all documents. Windows that are half placeholders or
-more are no evidence. Matches of an item along one text are put together: `coverage` is the share of the item's words in
-matched windows, and the slots (words behind placeholders) must be consistent: one benchmark value always stands for one
-value of the text, in at least `consistent` of the slots. A document is contaminated by an item covered to `least` or more.
+more are no evidence by their template; they match by their exact words (less case and outer punctuation). Matches of an
+item along one text are put together: `coverage` is the share of the item's words in matched windows, and the slots (words
+behind placeholders) must be consistent: one benchmark value always stands for one value of the text, in at least
+`consistent` of the slots. Where the text has look-alikes of the item, each place it may start at is judged. A document is contaminated by an item covered to `least` or more.
 
 The benchmark goes to the executors in blocks of at most `block` windows (one block unless the benchmark is huge), so what
 is broadcast is bounded; documents are only scanned, never shuffled. Null and empty texts match nothing, items without
@@ -15,6 +16,7 @@ words too; repeated rows of either side are judged alike.
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right
 
 import numpy as np
 import pyarrow as pa
@@ -69,14 +71,63 @@ def template(words: list[bytes], codes: WordCodes) -> tuple[np.ndarray, np.ndarr
     return np.where(kind > 0, SLOT_HASH[kind], h), kind
 
 
+def exact(words: list[bytes], codes: WordCodes) -> np.ndarray:
+    """Hashes of the words themselves, placeholders or not."""
+    return (np.fromiter(map(codes.__getitem__, words), np.int64, len(words)) >> 4).astype(np.uint64)
+
+
+class Windows:
+    """Hashes of (hashes, item, places, size) parts, sorted, with their items and places."""
+
+    def __init__(self, parts):
+        none = np.empty(0, np.int64)
+        columns = [(h, np.full(len(at), n), at, np.full(len(at), w)) for h, n, at, w in parts]
+        h, item, at, size = (np.concatenate(x) for x in zip(*columns)) if columns else (none,) * 4
+        order = np.argsort(h, kind="stable")
+        self.hash, self.item, self.at, self.size = h[order].astype(np.uint64), item[order], at[order], size[order]
+        self.sizes = sorted(set(size.tolist()))
+
+    def hits(self, t: np.ndarray, found: dict) -> None:
+        """Adds (place in the item, place in the text, size) of the windows of a text to its items' lists."""
+        for w in self.sizes:
+            h = common.rolled(t, w)
+            k = np.searchsorted(self.hash, h)
+            k[k == len(self.hash)] = 0
+            for p in np.nonzero(self.hash[k] == h)[0].tolist():
+                e = int(k[p])
+                while e < len(self.hash) and self.hash[e] == h[p]:
+                    if self.size[e] == w:
+                        found.setdefault(int(self.item[e]), []).append((int(self.at[e]), p, w))
+                    e += 1
+
+
+def alignments(hits: list[tuple[int, int, int]], length: int):
+    """Item place -> text place: the first place of each, then per diagonal its own and, for the rest, the nearest others'."""
+    first: dict[int, int] = {}
+    diagonals: dict[int, set[int]] = {}
+    for at, p, w in hits:
+        for d in range(w):
+            first.setdefault(at + d, p + d)
+        diagonals.setdefault(p - at, set()).update(range(at, at + w))
+    yield first
+    order = sorted(diagonals)
+    for main in order if len(order) > 1 else ():
+        near = order[bisect_left(order, main - length) : bisect_right(order, main + length)]
+        one: dict[int, int] = {}
+        for d in sorted(near, key=lambda d: abs(d - main)):
+            for a in diagonals[d]:
+                one.setdefault(a, a + d)
+        yield one
+
+
 class Index:
-    """Window hashes of a block of items, sorted, with their items and places."""
+    """Template windows of a block of items, and the exact ones of those windows that are mostly placeholders."""
 
     def __init__(self, items: list[tuple[int, bytes]], width: int):
         codes = WordCodes()
         self.words = [body.split() for _, body in items]
         self.ids = [i for i, _ in items]
-        self.kinds, h, item, at, size = [], [], [], [], []
+        self.kinds, plain_parts, exact_parts = [], [], []
         for n, words in enumerate(self.words):
             t, kind = template(words, codes)
             self.kinds.append(kind)
@@ -84,49 +135,35 @@ class Index:
             if not w:
                 continue
             plain = np.convolve(kind == 0, np.ones(w, int), "valid")
-            good = np.nonzero(2 * plain > w)[0]
-            h.append(common.rolled(t, w)[good])
-            item.append(np.full(len(good), n))
-            at.append(good)
-            size.append(np.full(len(good), w))
-        none = np.empty(0, np.int64)
-        h, item, at, size = (np.concatenate(x) if x else none for x in (h, item, at, size))
-        order = np.argsort(h, kind="stable")
-        self.hash, self.item, self.at, self.size = h[order].astype(np.uint64), item[order], at[order], size[order]
-        self.sizes = sorted(set(size.tolist()))
+            good, other = np.nonzero(2 * plain > w)[0], np.nonzero(2 * plain <= w)[0]
+            plain_parts.append((common.rolled(t, w)[good], n, good, w))
+            if len(other):
+                exact_parts.append((common.rolled(exact(words, codes), w)[other], n, other, w))
+        self.plain, self.exact = Windows(plain_parts), Windows(exact_parts)
 
     def matches(self, body: bytes, codes: WordCodes, least: float, consistent: float):
         """[(item id, coverage)] that contaminate the text."""
         words = body.split()
-        if not words or not len(self.hash):
-            return []
-        t, _ = template(words, codes)
         found: dict[int, list[tuple[int, int, int]]] = {}
-        for w in self.sizes:
-            h = common.rolled(t, w)
-            k = np.searchsorted(self.hash, h)
-            k[k == len(self.hash)] = 0
-            for p in np.nonzero(self.hash[k] == h)[0].tolist():
-                e = int(k[p])
-                while e < len(self.hash) and self.hash[e] == h[p]:
-                    if self.size[e] == w:
-                        found.setdefault(int(self.item[e]), []).append((int(self.at[e]), p, w))
-                    e += 1
+        if words and len(self.plain.hash):
+            self.plain.hits(template(words, codes)[0], found)
+        if words and len(self.exact.hash):
+            self.exact.hits(exact(words, codes), found)
         out = []
         for n, hits in found.items():
-            item = self.words[n]
-            aligned: dict[int, int] = {}
-            for at, p, w in hits:
-                for d in range(w):
-                    aligned.setdefault(at + d, p + d)
-            coverage = len(aligned) / len(item)
-            if coverage < least:
-                continue
-            slots = [(item[a].strip(OUTER), words[p].strip(OUTER)) for a, p in aligned.items() if self.kinds[n][a]]
-            meaning: dict[bytes, bytes] = {}
-            agreed = sum(meaning.setdefault(a, b) == b for a, b in slots)
-            if agreed >= consistent * len(slots):
-                out.append((self.ids[n], coverage))
+            item, passed = self.words[n], []
+            for aligned in alignments(hits, len(item)):
+                coverage = len(aligned) / len(item)
+                if coverage < least:
+                    continue
+                slots = [(item[a].strip(OUTER), words[p].strip(OUTER)) for a, p in aligned.items() if self.kinds[n][a]]
+                meaning: dict[bytes, bytes] = {}
+                agreed = sum(meaning.setdefault(a, b) == b for a, b in slots)
+                if agreed >= consistent * len(slots):
+                    passed.append(coverage)
+                    break
+            if passed:
+                out.append((self.ids[n], passed[0]))
         return out
 
 

@@ -345,6 +345,18 @@ def test_benchmark_passages_are_found(spark, texts):
     assert sum(r["contaminated"] for r in got.values()) < 0.2 * len(got)
 
 
+def test_numbers_and_look_alikes_are_found():
+    numbers = b"3 5 8 13 21 34 55 89 144 233 377 610"
+    question = b"a box holds 7 red balls and the bag holds 7 blue ones so the cart holds 7 green ones"
+    index = contamination.Index([(1, numbers), (2, question)], 8)
+    found = lambda text: {i for i, _ in index.matches(text, contamination.WordCodes(), 0.5, 0.8)}
+    assert found(b"he wrote " + numbers + b" and left") == {1}
+    assert found(b"he wrote " + b" ".join(b"%d" % k for k in range(40, 60)) + b" and left") == set()
+    like = question.replace(b"7", b"1", 1).replace(b"7", b"2", 1).replace(b"7", b"3", 1)
+    assert found(like) == set()
+    assert found(like + b" then some words between " + question.replace(b"7", b"4")) == {2}
+
+
 def test_toxicity_on_held_out(spark):
     lab = dict(map(tuple, spark.read.parquet(f"{DATA}/sf0.01/labels.parquet").select("doc_id", "toxic").collect()))
     rows = toxicity.toxicity(spark, f"{DATA}/sf0.01").collect()
