@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import json
 import math
+import time
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -244,9 +245,19 @@ def centre_gap(centres: Centres) -> float:
     return float(np.mean(gaps))
 
 
+#: Odd multiplier that spreads neighbouring ids over 32 bits.
+SPREAD = 2654435761
+
+
 def in_sample(size: float, n: int) -> Column:
-    """Rows whose portable hash falls in the first size / n of its range; larger samples hold smaller ones."""
-    return F.pmod(F.col("pid") * 2654435761, F.lit(2**32)) < math.ceil(size / max(1, n) * 2**32)
+    """Rows whose portable hash falls in the first size / n of its range; larger samples hold smaller ones.
+
+    The id is folded to 32 bits first and multiplied in two halves of 16, so that no product leaves the range of a long.
+    """
+    low = F.pmod(F.col("pid").bitwiseXOR(F.shiftright("pid", 32)), F.lit(2**32))
+    high, rest = F.shiftright(low, 16), F.pmod(low, F.lit(2**16))
+    mixed = F.pmod(F.pmod(high * SPREAD, F.lit(2**16)) * 2**16 + rest * SPREAD, F.lit(2**32))
+    return mixed < math.ceil(size / max(1, n) * 2**32)
 
 
 def sample_sizes(n: int, k: int, start: int = 100) -> list[int]:
@@ -258,19 +269,24 @@ def sample_sizes(n: int, k: int, start: int = 100) -> list[int]:
     return out
 
 
-def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x", "y"), weight: str = "w", target: list[float] | None = None, max_iter: int = 50, max_balance: int = 20, cap: float | None = 0.05, threshold: float = 0.005, beta: str = "bbox", erosion: bool = True, bounds: bool = True, sample_start: int | None = 100, seed: str = "sfc", engine: str = "auto", stop: str = "both", balance: bool = True, limit: str = "avg", resume: str | None = None) -> Partition:
+def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x", "y"), weight: str = "w", target: list[float] | None = None, max_iter: int = 50, max_balance: int = 20, cap: float | None = 0.05, threshold: float = 0.005, beta: str = "bbox", erosion: bool = True, bounds: bool = True, sample_start: int | None = 100, seed: str = "sfc", engine: str = "auto", stop: str = "both", balance: bool = True, limit: str = "avg", resume: str | None = None, digits: int | None = None) -> Partition:
     """Splits points (pid, dims, weight) into k blocks of equal weight (or of the shares in target) and small spread.
 
     threshold is relative to beta, the mean block diameter ('bbox': box diagonals, 'centre_gap': nearest centres). stop:
     'both' ends when centres rest and blocks balance, 'balance' at the first balanced result. balance=False is plain
     k-means. The best balanced iterate seen is returned; `balanced` tells whether there was one, `too_heavy` whether a
     single point outweighs a block's limit, so none can exist. resume: a folder to keep the centres of each round in.
+    digits: centres and influences are rounded to so many places in every step, so that the result does not hang on the
+    order in which sums are taken. counters has the seconds of the curve sort, the seeds and the rounds.
     """
     spark = points.sparkSession
     dims = list(dims)
+    exact = (lambda v: v) if digits is None else (lambda v: round(v, digits))
+    clock = [time.perf_counter()]
     engine = engine if engine != "auto" else "expr" if k <= 16 else "tile"
     data = written(ranks.spatial_sort(points.select("pid", *dims, weight), dims), "points")
     n, whole, heaviest = data.agg(F.count("*"), F.sum(F.col(weight).cast("double")), F.max(weight)).first()
+    clock.append(time.perf_counter())
     shares = target or [1 / k] * k
     if not n:
         empty = data.select("pid", F.lit(0).alias("block"))
@@ -279,6 +295,7 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
     seeds = ranks.random_seeds(data, k_real, dims) if seed == "random" else ranks.sfc_seeds(data, k_real, dims, "weight" if seed == "weight" else "rank")
     centres = Centres.initial(seeds, dims)
     centres = Centres([Centre(b, centres.rows[b % len(centres.rows)].at) for b in range(k)])
+    clock.append(time.perf_counter())
     first_round = 0
     if resume:
         try:
@@ -315,14 +332,14 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
             met = last_imbalance <= eps
             if met or not balance or turn == max_balance - 1:
                 break
-            new = centres.moved(influence=[c.influence * influence_factor(g, s, len(dims), cap) for c, g, s in zip(centres.rows, goals, loads)])
+            new = centres.moved(influence=[exact(c.influence * influence_factor(g, s, len(dims), cap)) for c, g, s in zip(centres.rows, goals, loads)])
             if lazy is not None:
                 lazy.relax(centres, new)
             centres = new
         if met and not sampled and (best is None or last_imbalance <= best[0]):
             best = (last_imbalance, centres)
         width = box_diagonals(stats, dims) if beta == "bbox" else centre_gap(centres)
-        means = [tuple(stats[b][f"s_{d}"] / stats[b]["weight"] for d in dims) if b in stats else centres.rows[b].at for b in range(k)]
+        means = [tuple(exact(stats[b][f"s_{d}"] / stats[b]["weight"]) for d in dims) if b in stats else centres.rows[b].at for b in range(k)]
         shifts = [math.dist(a, c.at) for a, c in zip(means, centres.rows)]
         resting = max(shifts) < threshold * width or max(shifts) == 0
         if not sampled and met and (resting or stop == "balance"):
@@ -331,7 +348,7 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
         if not sampled and resting and not balance:
             converged = True
             break
-        influence = [eroded(c.influence, s, width) for c, s in zip(centres.rows, shifts)] if erosion and balance else None
+        influence = [exact(eroded(c.influence, s, width)) for c, s in zip(centres.rows, shifts)] if erosion and balance else None
         new = centres.moved(at=means, influence=influence)
         if lazy is not None:
             lazy.relax(centres, new)
@@ -342,7 +359,9 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
     if best is not None and balance:
         last_imbalance, centres = best
     result = assign_tiles(data, centres, dims) if engine == "tile" else assign(data, centres, dims)
-    counters = total | {"skip_rate": total["skipped"] / max(1, total["points"]), "centres_per_point": total["evaluated"] / max(1, total["points"] - total["skipped"])}
+    clock.append(time.perf_counter())
+    seconds = {f"seconds_{what}": b - a for what, a, b in zip(("index", "seeds", "rounds"), clock, clock[1:])}
+    counters = total | {"skip_rate": total["skipped"] / max(1, total["points"]), "centres_per_point": total["evaluated"] / max(1, total["points"] - total["skipped"])} | seconds
     return Partition(result.select("pid", "block", "eff", "eff2"), centres, best is not None if balance else last_imbalance <= eps, last_imbalance, round_no + 1, passes, converged, bool(heaviest > (1 + eps) * whole * max(shares)), counters)
 
 

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from meshcut.functions.geometry import geometric_mean
-from meshcut.operators import baselines, measures
+from meshcut.operators import baselines, kmeans, measures
 from meshcut.plans import partition_queries as PQ
 from meshcut.plans import published as B
 from meshcut.plans import sqltext as T
@@ -187,7 +187,7 @@ def report_sql(parts: list, points_sql: str, edges_sql: str, blocks: dict[str, s
     for m, a in blocks.items():
         parts = [*parts, (f"a_{m}", a), (f"e_{m}", f"SELECT e.*, a.block AS b1, b.block AS b2 FROM (SELECT * FROM edges) e JOIN a_{m} a ON e.src = a.pid JOIN a_{m} b ON e.dst = b.pid WHERE a.block <> b.block"), (f"c_{m}", f"SELECT block, count(*) AS comm FROM (SELECT DISTINCT * FROM (SELECT b1 AS block, src, b2 AS other FROM e_{m} UNION ALL SELECT b2, dst, b1 FROM e_{m})) GROUP BY block")]
         rows.append(f"SELECT '{m}' AS method, (SELECT count(*) FROM e_{m}) AS cut, (SELECT coalesce(sum(ew), 0.0::DOUBLE) FROM e_{m}) AS cut_weight, (SELECT max(comm) FROM c_{m}) AS max_comm, (SELECT sum(comm)::BIGINT FROM c_{m}) AS total_comm, (SELECT round(max(s)/(sum(s)/{k}.0::DOUBLE)-1, 6) FROM (SELECT sum(w)::DOUBLE AS s FROM pts JOIN a_{m} USING (pid) GROUP BY block)) AS imbalance")
-    return ctes(("pts", points_sql), ("edges", edges_sql), *parts, select=" UNION ALL ".join(rows))
+    return T.materialized([("pts", points_sql), ("edges", edges_sql), *parts], " UNION ALL ".join(rows))
 
 
 def report(p: DataFrame, edges: DataFrame, blocks: dict[str, DataFrame], k: int) -> DataFrame:
@@ -202,17 +202,32 @@ def report(p: DataFrame, edges: DataFrame, blocks: dict[str, DataFrame], k: int)
     return reduce(DataFrame.unionByName, out)
 
 
-def lattice_methods(p: DataFrame, keyed: DataFrame, dims, k: int) -> dict[str, DataFrame]:
-    return {"hilbert": baselines.curve_chunks(keyed, k), "rcb": baselines.coordinate_bisection(p, k, dims), "hash": baselines.hash_blocks(p, k)}
+def report_methods(p: DataFrame, keyed: DataFrame, dims, k: int) -> dict[str, DataFrame]:
+    """Each method's blocks: the balanced k-means in the fixed number of rounds that SQL unrolls, and every baseline."""
+    out = {
+        "kmeans": kmeans.balanced_kmeans(p, k, dims=dims, **PQ.FIXED).assignment.select("pid", "block"),
+        "hilbert": baselines.curve_chunks(keyed, k),
+        "jagged": baselines.jagged_sections(p, baselines.jagged_parts(k, len(dims)), dims),
+        "rcb": baselines.coordinate_bisection(p, k, dims),
+        "hash": baselines.hash_blocks(p, k),
+    }
+    return out | ({"rib": baselines.inertial_bisection(p, k, dims)} if len(dims) == 2 else {})
 
 
-def lattice_method_sql(src_keyed: str, src: str, k: int) -> tuple[list, dict[str, str]]:
-    parts, last = PQ.bisection_sql(src, k)
-    return parts, {"hilbert": T.chunks(src_keyed, k), "rcb": f"SELECT pid, region AS block FROM {last}", "hash": f"SELECT pid, pid % {k} AS block FROM ({src})"}
+def report_methods_sql(src_keyed: str, src: str, k: int, dims: str = "xy") -> tuple[list, dict[str, str]]:
+    bisected, rcb = PQ.bisection_sql(src, k, dims)
+    cut, jagged = PQ.jagged_sql(src, baselines.jagged_parts(k, len(dims)), dims)
+    parts = [*PQ.kmeans_sql(src, PQ.sorted_seeds(src, dims, k), k, dims), *bisected, *cut]
+    blocks = {"kmeans": "SELECT * FROM kmeans_blocks", "hilbert": T.chunks(src_keyed, k), "jagged": f"SELECT pid, region AS block FROM {jagged}", "rcb": f"SELECT pid, region AS block FROM {rcb}", "hash": f"SELECT pid, pid % {k} AS block FROM ({src})"}
+    if len(dims) == 2:
+        inertial, rib = PQ.inertial_sql(src, k)
+        parts += inertial
+        blocks["rib"] = f"SELECT pid, region AS block FROM {rib}"
+    return parts, blocks
 
 
 ONES = f"SELECT * REPLACE (1::BIGINT AS w) FROM ({T.P['lattice2d']})"
-_p1, _m1 = lattice_method_sql(T.hilbert2d(ONES, 6), ONES, 8)
+_p1, _m1 = report_methods_sql(T.hilbert2d(ONES, 6), ONES, 8)
 
 
 @query("w1_report", report_sql(_p1, ONES, T.G1, _m1, 8))
@@ -220,10 +235,10 @@ def w1_report(spark, d):
     """Unweighted 2D mesh."""
     p = points.lattice2d(spark, d).withColumn("w", F.lit(1).cast("long"))
     keyed = PQ.lattice_keyed(spark, d).withColumn("w", F.lit(1).cast("long"))
-    return report(p, grid(spark, d), lattice_methods(p, keyed, PQ.XY, 8), 8)
+    return report(p, grid(spark, d), report_methods(p, keyed, PQ.XY, 8), 8)
 
 
-_p2, _m2 = lattice_method_sql(T.H2, T.P["lattice2d"], 8)
+_p2, _m2 = report_methods_sql(T.H2, T.P["lattice2d"], 8)
 
 
 @query("w2_report", report_sql(_p2, T.P["lattice2d"], G1W, _m2, 8))
@@ -231,13 +246,16 @@ def w2_report(spark, d):
     """2D mesh with node weights, weighted cut."""
     p = points.lattice2d(spark, d)
     edges = meshes.lattice_edges(p, ["gx", "gy"], weighted=True)
-    return report(p, edges, lattice_methods(p, PQ.lattice_keyed(spark, d), PQ.XY, 8), 8)
+    return report(p, edges, report_methods(p, PQ.lattice_keyed(spark, d), PQ.XY, 8), 8)
 
 
 _G2 = ctes(("s", "SELECT * FROM (VALUES (1,0,0),(0,1,0),(0,0,1),(1,1,1)) t(i,j,k)"), select="SELECT a.pid AS src, b.pid AS dst, 1.0::DOUBLE AS ew FROM pts a CROSS JOIN s JOIN pts b ON b.gx = a.gx+i AND b.gy = a.gy+j AND b.gz = a.gz+k")
 
 
-@query("w3_report", report_sql([], T.P["lattice3d"], _G2, {"hilbert": T.chunks(T.H3, 8), "hash": f"SELECT pid, pid % 8 AS block FROM ({T.P['lattice3d']})"}, 8))
+_p3, _m3 = report_methods_sql(T.H3, T.P["lattice3d"], 8, "xyz")
+
+
+@query("w3_report", report_sql(_p3, T.P["lattice3d"], _G2, _m3, 8))
 def w3_report(spark, d):
     """3D mesh."""
     from meshcut.functions import curves
@@ -245,11 +263,11 @@ def w3_report(spark, d):
     p = points.lattice3d(spark, d)
     keyed = p.withColumn("hkey", curves.hilbert3d("gx", "gy", "gz", 5))
     edges = meshes.lattice_edges(p, ["gx", "gy", "gz"])
-    return report(p, edges, {"hilbert": baselines.curve_chunks(keyed, 8), "hash": baselines.hash_blocks(p, 8)}, 8)
+    return report(p, edges, report_methods(p, keyed, PQ.XYZ, 8), 8)
 
 
 _GEO = ctes(("q", f"SELECT *, floor(x/0.3)::BIGINT AS kx, floor(y/0.3)::BIGINT AS ky FROM pts"), ("s", "SELECT i, j FROM (VALUES (-1),(0),(1)) a(i), (VALUES (-1),(0),(1)) b(j)"), select="SELECT a.pid AS src, b.pid AS dst, 1.0::DOUBLE AS ew FROM q a CROSS JOIN s JOIN q b ON b.kx = a.kx+i AND b.ky = a.ky+j WHERE a.pid < b.pid AND (a.x-b.x)*(a.x-b.x)+(a.y-b.y)*(a.y-b.y) <= 0.3::DOUBLE*0.3::DOUBLE")
-_p4, _m4 = lattice_method_sql(T.HE, T.P["events2d"], 8)
+_p4, _m4 = report_methods_sql(T.HE, T.P["events2d"], 8)
 
 
 @query("w4_report", report_sql(_p4, T.P["events2d"], _GEO, _m4, 8))
@@ -258,4 +276,4 @@ def w4_report(spark, d):
     from meshcut.operators import ranks
 
     p = points.events2d(spark, d)
-    return report(p, meshes.radius_edges(p, 0.3), lattice_methods(p, ranks.spatial_sort(p, PQ.XY), PQ.XY, 8), 8)
+    return report(p, meshes.radius_edges(p, 0.3), report_methods(p, ranks.spatial_sort(p, PQ.XY), PQ.XY, 8), 8)

@@ -285,13 +285,76 @@ def run_rounds(spark, d, steps, move, adapt):
 
 
 START8 = f"SELECT block, x, y, 1.0::DOUBLE AS influence FROM ({C8})"
-for _name, _move, _adapt in (("balance_passes_3", False, True), ("lloyd_3rounds", True, False), ("balanced_kmeans_3rounds", True, True)):
+for _name, _move, _adapt in (("balance_passes_3", False, True), ("lloyd_3rounds", True, False)):
     _parts, _last = rounds_sql(START8, 3, _move, _adapt)
     query(_name, ctes(*_parts, select=f"SELECT pid, block FROM {_last}"))(lambda spark, d, m=_move, a=_adapt: run_rounds(spark, d, 3, m, a))
 
 
-@query("balanced_kmeans")
-def balanced_kmeans(spark, d):
+def kmeans_sql(src: str, start: str, k: int, dims: str = "xy", rounds: int = 3, turns: int = 3, eps: float = 0.03, goal: str = "1.0::DOUBLE/{k}") -> list[tuple[str, str]]:
+    """CTEs of the whole method in a fixed number of rounds, ending in (kmeans_blocks: pid, block): in each round up to
+    `turns` balance passes, of which none changes anything once blocks are within eps; then the centre move and the erosion
+    of influence by the move over the mean box diagonal. The best balanced round's centres, or else the last, make the blocks."""
+    share = goal.format(k=k)
+    parts = [("kp", src), ("k0_0", f"SELECT block, {', '.join(dims)}, 1.0::DOUBLE AS influence FROM ({start})")]
+    sums = ", ".join(f"sum(w*{c})::DOUBLE AS s{c}, max({c}) - min({c}) AS e{c}" for c in dims)
+    step = f"greatest(least(({{goal}}/s.weight)**(1.0::DOUBLE/{len(dims)}), 1.05::DOUBLE), 0.95::DOUBLE)"
+    for r in range(rounds):
+        for t in range(turns):
+            here = f"{r}_{t}"
+            parts.append((f"kn{here}", T.nearest("SELECT * FROM kp", f"SELECT * FROM k{here}", dims, influence="c.influence")))
+            parts.append((f"ks{here}", f"SELECT block, sum(w)::DOUBLE AS weight, {sums} FROM kn{here} GROUP BY block"))
+            parts.append((f"km{here}", f"SELECT max(weight/((SELECT sum(weight) FROM ks{here})*{share})) - 1 AS imb FROM ks{here}"))
+            if t < turns - 1:
+                goal_now = f"((SELECT sum(weight) FROM ks{here})*{share})"
+                factor = f"CASE WHEN (SELECT imb FROM km{here}) <= {eps}::DOUBLE THEN 1.0::DOUBLE WHEN s.weight IS NULL THEN 1.05::DOUBLE ELSE {step.format(goal=goal_now)} END"
+                parts.append((f"k{r}_{t + 1}", f"SELECT c.block, {', '.join('c.' + c for c in dims)}, round(c.influence*{factor}, 9) AS influence FROM k{here} c LEFT JOIN ks{here} s ON c.block = s.block"))
+        moved = ", ".join(f"coalesce(round(s.s{c}/s.weight, 9), c.{c}) AS {c}, c.{c} AS old_{c}" for c in dims)
+        shift = "sqrt(" + " + ".join(f"({c}-old_{c})*({c}-old_{c})" for c in dims) + ")"
+        width = f"(SELECT avg(sqrt({' + '.join(f'e{c}*e{c}' for c in dims)})) FROM ks{here})"
+        alpha = f"CASE WHEN {width} > 0 THEN 2/(1+exp(-{shift}/{width}))-1 WHEN {shift} > 0 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END"
+        parts.append((f"k{r + 1}_0", f"SELECT block, {', '.join(dims)}, round(exp((1-({alpha}))*ln(influence)), 9) AS influence FROM (SELECT c.block, {moved}, c.influence FROM k{here} c LEFT JOIN ks{here} s ON c.block = s.block)"))
+    last = turns - 1
+    parts.append(("kbest", "SELECT r FROM (" + " UNION ALL ".join(f"SELECT {r} AS r, imb FROM km{r}_{last}" for r in range(rounds)) + f") WHERE imb <= {eps}::DOUBLE ORDER BY imb, r DESC LIMIT 1"))
+    choices = [(r, f"k{r}_{last}") for r in range(rounds)] + [(rounds, f"k{rounds}_0")]
+    parts.append(("kend", " UNION ALL ".join(f"SELECT * FROM {c} WHERE coalesce((SELECT r FROM kbest), {rounds}) = {r}" for r, c in choices)))
+    parts.append(("kmeans_blocks", f"SELECT pid, block FROM ({T.nearest('SELECT * FROM kp', 'SELECT * FROM kend', dims, influence='c.influence')})"))
+    return [(n, f"SELECT * FROM ({q})") for n, q in parts]
+
+
+#: The whole method with a fixed number of rounds and passes, which SQL can unroll.
+FIXED = {"max_iter": 3, "max_balance": 3, "threshold": 0.0, "sample_start": None, "digits": 9}
+def sorted_seeds(src: str, dims: str, k: int = 8) -> str:
+    """Seeds along the curve through the 2^16 cells of the points' box."""
+    bare = f"SELECT pid, {', '.join(dims)}, w FROM ({src})"
+    curve = T.hilbert2d if len(dims) == 2 else T.hilbert3d
+    return T.seeds(curve(T.quantized(bare, dims, 16), 16), k, dims)
+
+
+LATTICE_PLAIN = f"SELECT * REPLACE (1::BIGINT AS w) FROM ({T.P['lattice2d']})"
+KMEANS = {
+    "balanced_kmeans": ("lattice2d", XY, T.P["lattice2d"], False),
+    "balanced_kmeans_unweighted": ("lattice2d", XY, LATTICE_PLAIN, True),
+    "balanced_kmeans_cloud": ("events2d", XY, T.P["events2d"], False),
+    "balanced_kmeans_3d": ("lattice3d", XYZ, T.P["lattice3d"], False),
+    "balanced_kmeans_documents": ("docs2d", XY, T.P["docs2d"], False),
+}
+
+
+def point_set(spark, d, name, plain):
+    p = getattr(points, name)(spark, d)
+    return p.withColumn("w", F.lit(1).cast("long")) if plain else p
+
+
+for _name, (_set, _dims, _src, _plain) in KMEANS.items():
+    _parts = kmeans_sql(_src, sorted_seeds(_src, "".join(_dims)), 8, "".join(_dims))
+    query(_name, T.materialized(_parts, "SELECT pid, block FROM kmeans_blocks"))(
+        lambda spark, d, s=_set, m=_dims, w=_plain: kmeans.balanced_kmeans(point_set(spark, d, s, w), 8, dims=m, **FIXED).assignment.select("pid", "block")
+    )
+
+
+@query("balanced_kmeans_converged")
+def balanced_kmeans_converged(spark, d):
+    """The method as it is used: growing samples, rounds until centres rest and blocks balance."""
     return kmeans.balanced_kmeans(points.lattice2d(spark, d), 8, max_iter=20).assignment.select("pid", "block")
 
 
@@ -385,7 +448,7 @@ def interior_tiles(spark, d):
     return tiles.interior_tiles(tile_boxes(spark, d), formula_centres(spark, d), XY).select("tile", "block")
 
 
-@query("sample_schedule", f"SELECT r.round::INTEGER AS round, count(*) AS n FROM ({T.P['events2d']}) p JOIN (SELECT unnest(range(12)) AS round) r ON (p.pid*2654435761) % 4294967296 < ceil((800*(1 << r.round))::DOUBLE/(SELECT count(*) FROM events)*4294967296) WHERE 800*(1 << r.round) < (SELECT count(*) FROM events) GROUP BY r.round")
+@query("sample_schedule", f"SELECT r.round::INTEGER AS round, count(*) AS n FROM ({T.P['events2d']}) p JOIN (SELECT unnest(range(12)) AS round) r ON ((xor(p.pid, p.pid >> 32) & 4294967295)::HUGEINT*2654435761) % 4294967296 < ceil((800*(1 << r.round))::DOUBLE/(SELECT count(*) FROM events)*4294967296) WHERE 800*(1 << r.round) < (SELECT count(*) FROM events) GROUP BY r.round")
 def sample_schedule(spark, d):
     p = points.events2d(spark, d)
     n = p.count()
@@ -412,16 +475,48 @@ def morton_chunks(spark, d):
     return baselines.curve_chunks(lattice_keyed(spark, d, "morton"), 8)
 
 
-def bisection_sql(src: str, k: int) -> tuple[list, str]:
-    parts = [("r0", f"SELECT pid, x, y, w, 0 AS region, {k} AS k FROM ({src})")]
+def bisection_sql(src: str, k: int, dims: str = "xy", tag: str = "r") -> tuple[list, str]:
+    names = ", ".join(dims)
+    parts = [(f"{tag}0", f"SELECT pid, {names}, w, 0 AS region, {k} AS k FROM ({src})")]
     n = 0
     while 1 << n < k:
-        box = f"SELECT *, max(x) OVER r - min(x) OVER r AS ex, max(y) OVER r - min(y) OVER r AS ey FROM r{n} WINDOW r AS (PARTITION BY region)"
-        run = f"SELECT *, sum(w) OVER (PARTITION BY region ORDER BY CASE WHEN ex >= ey THEN x ELSE y END, pid ROWS UNBOUNDED PRECEDING) AS cum, sum(w) OVER (PARTITION BY region) AS total FROM ({box})"
-        low = "(k < 2 OR (cum - w/2)*k < total*(k//2))"
-        parts.append((f"r{n + 1}", f"SELECT pid, x, y, w, (CASE WHEN {low} THEN region ELSE region + k//2 END) AS region, (CASE WHEN k < 2 THEN k WHEN {low} THEN k//2 ELSE k - k//2 END) AS k FROM ({run})"))
+        box = f"SELECT *, {', '.join(f'max({c}) OVER r - min({c}) OVER r AS e{c}' for c in dims)} FROM {tag}{n} WINDOW r AS (PARTITION BY region)"
+        widest = "CASE " + " ".join(f"WHEN e{c} >= greatest({', '.join('e' + o for o in dims)}) THEN {c}" for c in dims[:-1]) + f" ELSE {dims[-1]} END"
+        parts.append((f"{tag}{n + 1}", halved(box, widest, names)))
         n += 1
-    return parts, f"r{n}"
+    return parts, f"{tag}{n}"
+
+
+def halved(src: str, value: str, names: str) -> str:
+    """Regions of k blocks cut along a value in the proportion of floor(k/2) to the rest."""
+    run = f"SELECT *, sum(w) OVER (PARTITION BY region ORDER BY {value}, pid ROWS UNBOUNDED PRECEDING) AS cum, sum(w) OVER (PARTITION BY region) AS total FROM ({src})"
+    low = "(k < 2 OR (cum - w/2)*k < total*(k//2))"
+    return f"SELECT pid, {names}, w, (CASE WHEN {low} THEN region ELSE region + k//2 END) AS region, (CASE WHEN k < 2 THEN k WHEN {low} THEN k//2 ELSE k - k//2 END) AS k FROM ({run})"
+
+
+def inertial_sql(src: str, k: int, tag: str = "i") -> tuple[list, str]:
+    """Bisection across the principal axis of each region, of points of the plane."""
+    parts = [(f"{tag}0", f"SELECT pid, x, y, w, 0 AS region, {k} AS k FROM ({src})")]
+    n = 0
+    while 1 << n < k:
+        sums = f"SELECT region, sum(w)::DOUBLE AS m, sum(w*x)::DOUBLE/sum(w) AS mx, sum(w*y)::DOUBLE/sum(w) AS my, sum(w*x*x)::DOUBLE AS xx, sum(w*x*y)::DOUBLE AS xy, sum(w*y*y)::DOUBLE AS yy FROM {tag}{n} GROUP BY region"
+        cov = f"SELECT region, (xx/m - mx*mx) AS sxx, (xy/m - mx*my) AS sxy, (yy/m - my*my) AS syy FROM ({sums})"
+        half = f"SELECT *, (sxx - syy)/2 AS half, sqrt((sxx - syy)/2*((sxx - syy)/2) + sxy*sxy) AS root FROM ({cov})"
+        axis = f"SELECT region, CASE WHEN root = 0 THEN 1.0::DOUBLE WHEN half >= 0 THEN half + root ELSE sxy END AS vx, CASE WHEN root = 0 THEN 0.0::DOUBLE WHEN half >= 0 THEN sxy ELSE root - half END AS vy FROM ({half})"
+        unit = f"SELECT region, CASE WHEN vx < 0 OR (vx = 0 AND vy < 0) THEN -1 ELSE 1 END/sqrt(vx*vx + vy*vy) AS scale, vx, vy FROM ({axis})"
+        value = "round(x*(vx*scale) + y*(vy*scale), 9)"
+        parts.append((f"{tag}{n + 1}", halved(f"SELECT * FROM {tag}{n} JOIN ({unit}) USING (region)", value, "x, y")))
+        n += 1
+    return parts, f"{tag}{n}"
+
+
+def jagged_sql(src: str, cuts: tuple[int, ...], dims: str = "xy", tag: str = "j") -> tuple[list, str]:
+    names = ", ".join(dims)
+    parts = [(f"{tag}0", f"SELECT pid, {names}, w, 0 AS region FROM ({src})")]
+    for n, (c, m) in enumerate(zip(dims, cuts)):
+        run = f"SELECT *, sum(w) OVER (PARTITION BY region ORDER BY {c}, pid ROWS UNBOUNDED PRECEDING) AS cum, sum(w) OVER (PARTITION BY region) AS total FROM {tag}{n}"
+        parts.append((f"{tag}{n + 1}", f"SELECT pid, {names}, w, (region*{m} + least({m - 1}, floor((cum - w/2)*{m}/total)))::INTEGER AS region FROM ({run})"))
+    return parts, f"{tag}{len(cuts)}"
 
 
 for _name, _k in (("rcb", 8), ("rcb_odd", 5)):
@@ -434,7 +529,10 @@ def jagged_sections(spark, d):
     return baselines.jagged_sections(points.lattice2d(spark, d), (2, 4), XY)
 
 
-@query("rib")
+_parts, _last = inertial_sql(T.P["lattice2d"], 8)
+
+
+@query("rib", T.materialized(_parts, f"SELECT pid, region::INTEGER AS block FROM {_last}"))
 def rib(spark, d):
     return baselines.inertial_bisection(points.lattice2d(spark, d), 8, XY)
 

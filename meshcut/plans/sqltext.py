@@ -17,6 +17,11 @@ P = {
 }
 
 
+def materialized(parts: list[tuple[str, str]], select: str) -> str:
+    """CTEs that are each computed once, however often they are read."""
+    return "WITH " + ", ".join(f"{n} AS MATERIALIZED ({q})" for n, q in parts) + f" {select}"
+
+
 def quantized(src: str, dims: str, bits: int) -> str:
     side = 1 << bits
     box = ", ".join(f"min({d}) AS lo_{d}, max({d}) AS hi_{d}" for d in dims)
