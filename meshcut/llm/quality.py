@@ -13,6 +13,8 @@ does; a null lang is a language of its own with the union of the word lists; row
 
 from __future__ import annotations
 
+import numpy as np
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,69 +29,101 @@ COMMON_WORDS = {
 }
 #: The symbols that the base rule counts.
 SYMBOLS = "#*$%&|<>"
-UPPER_CASE, LOWER_CASE = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def words_of(text: Column) -> Column:
-    return F.filter(F.split(text, common.BLANK + "+"), lambda w: w != "")
+def in_language(words: list[str]) -> tuple[list[str], list[str | None]]:
+    """The words in order, and a table that holds each at its XXH64 modulo the table's length (the least that has room)."""
+    words = sorted(set(words))
+    place = [int(np.uint64(xxhash.xxh64_intdigest(w.encode(), 42)).view(np.int64)) for w in words]
+    size = next(n for n in range(len(words), 1 << 30) if len({p % n for p in place}) == len(words))
+    table: list[str | None] = [None] * size
+    for w, p in zip(words, place):
+        table[p % size] = w
+    return words, table
+
+
+def word_counts(lang: str, tokens: str) -> Column:
+    """How often each common word of the text's language is among the lower-case tokens, in alphabetical order.
+
+    The hits are sorted together with one of each common word, so each word ends a run there; runs give the counts.
+    """
+    every = [w for x in COMMON_WORDS.values() for w in x]
+
+    def counts(words: list[str]) -> Column:
+        words, table = in_language(words)
+        held, size = F.array(*map(F.lit, table)), F.lit(len(table)).cast("long")
+        return F.sort_array(F.concat(F.filter(tokens, lambda w: F.get(held, F.pmod(F.xxhash64(w), size).cast("int")) == w), F.array(*map(F.lit, words))))
+
+    out = F.lit(None)
+    for k, words in COMMON_WORDS.items():
+        out = F.when(F.col(lang) == k, counts(words)).otherwise(out)
+    return F.coalesce(out, counts(every))
 
 
 def measured(docs: DataFrame, *keep: str) -> DataFrame:
-    """keep, the base columns, and the two histograms (`_chars`, `_words`, arrays of counts)."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    one = docs.select(*keep, F.col("lang").alias("_lang"), text.alias("_text"), words_of(text).alias("_w"))
-    triples = F.when(
-        F.size("_w") >= 3,
-        F.sort_array(F.transform(F.sequence(F.lit(1), F.size("_w") - 2), lambda i: F.struct(F.xxhash64(F.get("_w", i - 1), F.get("_w", i), F.get("_w", i + 1)).alias("h"), i.alias("i")))),
-    )
-    lines = F.filter(F.split("_text", "\n"), lambda x: F.translate(x, " \t\x0b\x0c\r", "") != "")
-    no_letters = F.regexp_replace("_text", r"\p{L}+", "")
-    lists = [F.array(*map(F.lit, x)) for x in COMMON_WORDS.values()]
-    every = F.array(*map(F.lit, sorted({w for x in COMMON_WORDS.values() for w in x})))
-    mine = F.lit(None)
-    for lang, words in zip(COMMON_WORDS, lists):
-        mine = F.when(F.col("_lang") == lang, words).otherwise(mine)
-    mine = F.coalesce(mine, every)
+    """keep, the base columns, and the two histograms (`_chars`, `_words`, arrays of shares) with the characters' number.
+
+    Each step takes whole arrays or strings at a time where it can: lambdas over words are few and short.
+    """
+    blanks = " \t\n\x0b\x0c\r"
+    one = docs.select(*keep, F.col("lang").alias("_lang"), F.coalesce(F.col("text"), F.lit("")).alias("_text"))
+    one = one.withColumn("_bare", F.btrim("_text", F.lit(blanks)))
     two = one.select(
-        "*", triples.alias("_t"), lines.alias("_lines"), no_letters.alias("_rest"), F.length(F.regexp_replace("_text", r"[^\p{Lu}]+", "")).alias("_upper"),
-        F.filter(F.transform("_w", lambda w: F.array_position(mine, F.translate(F.rtrim(w, F.lit(",.;:!?")), UPPER_CASE, LOWER_CASE))), lambda p: p > 0).alias("_hits"),
-    )
+        "*",
+        F.when(F.col("_bare") == "", F.array().cast("array<string>")).otherwise(F.split("_bare", common.BLANK + "+")).alias("_w"),
+        F.when(F.col("_bare") == "", F.array().cast("array<string>")).otherwise(F.split(F.lower("_bare"), f"[,.;:!?]*(?:{common.BLANK}+|$)")).alias("_lower"),
+        F.filter(F.split("_text", "\n"), lambda x: F.btrim(x, F.lit(blanks)) != "").alias("_lines"),
+        F.length("_text").alias("_n"), F.regexp_count("_text", F.lit(r"\p{Lu}")).alias("_upper"),
+        F.regexp_replace("_text", r"\p{L}+", "").alias("_rest"),
+    ).withColumns({"_marks": F.regexp_replace("_rest", common.BLANK + "+", ""), "_size": F.size("_w")})
+    rest = F.lit(1 << 30)
+    three = two.select(
+        "*", word_counts("_lang", "_lower").alias("_runs"),
+        F.transform(F.arrays_zip("_w", F.slice("_w", 2, rest).alias("b"), F.slice("_w", 3, rest).alias("c")), lambda x: F.xxhash64(x)).alias("_all"),
+    ).withColumn("_t", F.slice("_all", F.lit(1), F.greatest(F.lit(0), F.col("_size") - 2)))
     # a triple repeats if a neighbour in hash order equals it
-    again = F.sort_array(F.transform(F.filter(F.transform(F.sequence(F.lit(0), F.size("_t") - 1), lambda k: F.struct(F.get("_t", k)["i"].alias("i"), ((F.get("_t", k)["h"] == F.get("_t", k + 1)["h"]) | (F.get("_t", k)["h"] == F.get("_t", k - 1)["h"])).alias("r"))), lambda x: x["r"]), lambda x: x["i"]))
-    three = two.select("*", F.when(F.size("_t") > 1, again).alias("_again"), F.length("_text").alias("_n"), F.length("_rest").alias("_r"), F.regexp_replace("_rest", common.BLANK + "+", "").alias("_marks"))
-    covered = F.when(F.size("_again") > 0, F.aggregate(F.transform(F.sequence(F.lit(1), F.size("_again")), lambda k: F.least(F.lit(3), F.coalesce(F.get("_again", k) - F.get("_again", k - 1), F.lit(3)))), F.lit(0), lambda a, x: a + x)).otherwise(0)
-    only = lambda chars: (F.length("_marks") - F.length(F.regexp_replace("_marks", chars, "")))
-    n_words = F.size("_w").cast("long")
-    char_counts = F.array(*(c.cast("double") for c in (F.col("_upper"), F.col("_n") - F.col("_r") - F.col("_upper"), only("[0-9]+"), F.col("_r") - F.length("_marks"), only(r"[.,;:!?'\"()-]+"), only(r"[#*$%&|<>=_{}/\\\[\]~^@+]+"), F.length(F.regexp_replace("_marks", r"[0-9.,;:!?'\"()#*$%&|<>=_{}/\\\[\]~^@+-]+", "")))))
-    most = max(len(x) for x in COMMON_WORDS.values())
-    slots = F.when(F.size("_hits") > 0, F.array(*((F.size("_hits") - F.size(F.array_remove("_hits", F.lit(c).cast("long")))).cast("double") for c in range(1, most + 1)))).otherwise(F.array_repeat(F.lit(0.0), most))
-    return three.select(
-        *keep, "_lang", n_words.alias("n_words"),
-        F.length(F.translate("_text", " \t\n\x0b\x0c\r", "")).cast("long").alias("word_chars"),
-        (F.length("_text") - F.length(F.translate("_text", SYMBOLS, ""))).cast("long").alias("n_symbols"),
+    order = three.withColumn("_order", F.when(F.size("_t") > F.size(F.array_distinct("_t")), F.sort_array(F.arrays_zip(F.col("_t").alias("h"), F.sequence(F.lit(0), F.size("_t") - 1).alias("i")))))
+    twice = F.filter("_order", lambda x, k: (x["h"] == F.get("_order", k + 1)["h"]) | (x["h"] == F.get("_order", k - 1)["h"]))
+    four = order.withColumn("_again", F.sort_array(F.transform(twice, lambda x: x["i"])))
+    gaps = F.transform("_again", lambda i, k: F.least(F.lit(3), F.coalesce(F.get("_again", k + 1) - i, F.lit(3))))
+    covered = F.when(F.size("_again") > 0, F.aggregate(gaps, F.lit(0), lambda a, x: a + x)).otherwise(0)
+    ends = F.filter(F.transform("_runs", lambda w, k: F.when(w.eqNullSafe(F.get("_runs", k + 1)), -1).otherwise(k)), lambda k: k >= 0)
+    five = four.select(
+        *keep, "_lang", F.col("_size").cast("long").alias("n_words"), F.length(F.array_join("_w", "")).cast("long").alias("word_chars"),
+        F.regexp_count("_marks", F.lit(f"[{SYMBOLS}]")).cast("long").alias("n_symbols"),
         (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
-        covered.cast("long").alias("n_repeat_words"),
-        char_counts.alias("_chars"), F.concat(slots, F.array(F.size("_w").cast("double") - F.aggregate(slots, F.lit(0.0), lambda a, x: a + x))).alias("_words"),
-    ).withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
-
-
-def shares(counts: Column) -> Column:
-    total = F.aggregate(counts, F.lit(0.0), lambda a, x: a + x)
-    return F.transform(counts, lambda x: F.when(total > 0, x / total).otherwise(0.0))
+        covered.cast("long").alias("n_repeat_words"), ends.alias("_ends"), "_n", "_upper", "_rest", "_marks",
+    )
+    only = lambda chars: F.regexp_count("_marks", F.lit(chars))
+    n, rest, marks = F.col("_n"), F.length("_rest"), F.length("_marks")
+    classes = [F.col("_upper"), n - rest - F.col("_upper"), only("[0-9]"), rest - marks, only(r"[.,;:!?'\"()-]"), only(r"[#*$%&|<>=_{}/\\\[\]~^@+]")]
+    hits = F.transform("_ends", lambda e, k: e - F.coalesce(F.get("_ends", k - 1), F.lit(-1)) - 1)
+    six = five.select(
+        *keep, "_lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "_n",
+        F.array(*classes, only(r"[^0-9.,;:!?'\"()#*$%&|<>=_{}/\\\[\]~^@+-]")).alias("_classes"),
+        F.concat(hits, F.array(F.col("n_words").cast("int") + F.size("_ends") - 1 - F.element_at("_ends", -1))).alias("_hits"),
+    )
+    share = lambda counts, total: F.transform(counts, lambda x: F.when(F.col(total) > 0, x / F.col(total)).otherwise(0.0))
+    return six.select(
+        *keep, "_lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
+        share("_classes", "_n").alias("_chars"), share("_hits", "n_words").alias("_words"), F.col("_n").alias("_total"),
+        ((F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))).alias("base_failed"),
+    )
 
 
-def divergence(p: Column, q: Column) -> Column:
+def divergence(p: str, q: str) -> Column:
     """Jensen-Shannon distance, base 2."""
-    part = F.zip_with(p, q, lambda a, b: F.when(a > 0, a * F.log2(2 * a / (a + b))).otherwise(0.0) + F.when(b > 0, b * F.log2(2 * b / (a + b))).otherwise(0.0))
+    side = lambda a, b: F.when(a > 0, a * F.log2(2 * a / (a + b))).otherwise(0.0)
+    part = F.zip_with(p, q, lambda a, b: side(a, b) + side(b, a))
     return F.sqrt(F.greatest(F.lit(0.0), F.aggregate(part, F.lit(0.0), lambda a, x: a + x) / 2))
 
 
 def references(rows: DataFrame) -> DataFrame:
     """(_lang, _char_ref, _word_ref): mean shares of base-passing texts, a row per language."""
-    n, m = 7, max(len(x) for x in COMMON_WORDS.values()) + 1
-    flat = rows.where("not base_failed").select("_lang", shares(F.col("_chars")).alias("c"), shares(F.col("_words")).alias("w"))
-    sums = flat.groupBy("_lang").agg(*(F.avg(F.get("c", F.lit(k))).alias(f"c{k}") for k in range(n)), *(F.avg(F.get("w", F.lit(k))).alias(f"w{k}") for k in range(m)))
-    rounded = lambda names: F.array(*(F.round(x, 9) for x in names))
+    n, m = 7, 1 + len({w for x in COMMON_WORDS.values() for w in x})
+    good = rows.where("not base_failed")
+    sums = good.groupBy("_lang").agg(*(F.avg(F.get("_chars", F.lit(k))).alias(f"c{k}") for k in range(n)), *(F.avg(F.get("_words", F.lit(k))).alias(f"w{k}") for k in range(m)))
+    rounded = lambda names: F.array_compact(F.array(*(F.round(x, 9) for x in names)))
     return sums.select("_lang", rounded([f"c{k}" for k in range(n)]).alias("_char_ref"), rounded([f"w{k}" for k in range(m)]).alias("_word_ref"))
 
 
@@ -98,10 +132,9 @@ def judged(docs: DataFrame, *keep: str, chars_limit: float = 0.24, words_limit:
     rows = common.written(measured(docs, *keep), "quality")
     ref = references(rows)
     out = rows.join(ref, rows["_lang"].eqNullSafe(ref["_lang"]), "left").drop(ref["_lang"])
-    out = out.withColumns({"char_distance": F.round(divergence(shares(F.col("_chars")), F.col("_char_ref")), 6), "word_distance": F.round(divergence(shares(F.col("_words")), F.col("_word_ref")), 6)})
-    total = F.aggregate("_chars", F.lit(0.0), lambda a, x: a + x)
-    odd = ((total >= least_chars) & (F.col("char_distance") > chars_limit)) | ((F.col("n_words") >= least_words) & (F.col("word_distance") > words_limit))
-    return out.withColumn("kept", ~F.col("base_failed") & ~F.coalesce(odd, F.lit(False))).drop("_lang", "_chars", "_words", "_char_ref", "_word_ref")
+    out = out.withColumns({"char_distance": F.round(divergence("_chars", "_char_ref"), 6), "word_distance": F.round(divergence("_words", "_word_ref"), 6)})
+    odd = ((F.col("_total") >= least_chars) & (F.col("char_distance") > chars_limit)) | ((F.col("n_words") >= least_words) & (F.col("word_distance") > words_limit))
+    return out.withColumn("kept", ~F.col("base_failed") & ~F.coalesce(odd, F.lit(False))).drop("_lang", "_chars", "_words", "_total", "_char_ref", "_word_ref")
 
 
 def quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
