@@ -1,4 +1,4 @@
-"""Suffix order by Lyndon prefixes, in linear time and without renaming or recursion.
+"""Suffix order by Lyndon prefixes, without renaming or recursion; linear but for sorting symbols and groups by place.
 
 First the suffixes are grouped by their Lyndon prefix (the longest Lyndon word a suffix starts with). Groups begin as equal
 first symbols and are settled from the greatest down: each member finds the closest earlier suffix of a smaller group by

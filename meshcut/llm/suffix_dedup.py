@@ -6,14 +6,18 @@ place. Neighbouring windows with one anchor form a stretch, so a text is cut int
 exactly one. Stretches meet by anchor:
 
 * a stretch equal to an earlier one is covered whole (first within a batch, then across all; no suffixes needed);
-* different stretches with the same anchor string may share windows. Their bytes are fetched, dealt by anchor and by the
-  bytes right or left of the anchor (equal windows agree on one side at least), and each group is sorted by the
-  Lyndon-prefix suffix construction; windows that are neighbours in suffix order and agree on `least` bytes are one class,
-  of which all but the earliest are covered. Groups over `hot` stretches are instead dealt out again window by window, by
-  the hash of the window's bytes, so no task holds an unbounded group.
+* different stretches with the same anchor string may share windows. A window holds the anchor string and `least - SEED`
+  more bytes before and behind it, so those of up to half as many bytes before it agree behind it, the others before it: the
+  stretches' bytes go to two groups, by the anchor string and the half that must agree (the core), without what their windows
+  cannot reach. Each group is sorted by the Lyndon-prefix suffix construction, the core as one symbol; windows that are
+  neighbours in suffix order and agree in all their symbols are one class, of which all but the earliest are covered.
+  Groups over `hot` pieces are dealt out again in two with longer cores, and so on, until they are small or a piece is one
+  window; so no task holds an unbounded group and none is settled otherwise.
 
 "Earlier" is by id, then place; rows that repeat an id with another text are ordered by text hash and count as one document
-with a gap between them, identical rows are one place. A null text is empty. Texts under `least` bytes never match.
+with a gap between them, identical rows are one place. A null text is empty, a null id comes before all others. Texts under
+`least` bytes never match; longer ones are taken whole, in chunks of bounded memory. Other columns are ignored, whatever they
+are called.
 """
 
 from __future__ import annotations
@@ -167,70 +171,99 @@ def meet(batches):
             yield _batch((np.zeros(len(covered[0]), np.int32), *covered), FOUND_NAMES)
 
 
-def later_windows(group, least: int):
-    """Covered windows (id, at) of stretches [(id, at, bytes)], by suffix order."""
-    symbols: list[int] = []
-    where: list[tuple[int, int]] = []
-    for i, s, body in group:
-        symbols += [x + 1 for x in body]
-        symbols.append(0)
-        where += [(i, s + k) if k + least <= len(body) else None for k in range(len(body) + 1)]
-    text = b"\0".join(body for _, _, body in group) + b"\0"
-    out, held, key = [], [], None
+def piece(body: bytes, c0: int, a: int, b: int, least: int):
+    """The part of a stretch that windows with a to b bytes before c0 use: (first byte, core's place in it, bytes).
+
+    Its core, least - (b - a) bytes long, is in all those windows. None if it has no such window.
+    """
+    first, last = max(0, c0 - b), min(len(body), c0 - a + least)
+    if c0 < a or c0 - b + least > len(body) or last - first < least:
+        return None
+    return first, c0 - a - first, body[first:last]
+
+
+def later_windows(groups, width: int, least: int):
+    """Covered runs (id, at, n) of groups [[(id, at, core's place, bytes)]] of pieces, by suffix order.
+
+    A core stands in the text as one symbol, so windows are strings of width + 1 symbols that hold one. Pieces of equal
+    bytes in a group stand there once: all but the earliest are covered.
+    """
+    out, symbols, where, cores = [], [], [], {}
+    for group in groups:
+        places: dict[tuple[int, bytes], tuple[int, int]] = {}
+        for i, s, c, body in group:
+            one = places.get((c, body))
+            if one is None:
+                places[c, body] = i, s
+            elif one != (i, s):
+                from_, upto = max(0, c - width), min(c, len(body) - least)
+                out.append((i, s + from_, upto - from_ + least))
+        if len(places) < 2:
+            continue
+        for (c, body), (i, s) in places.items():
+            core = cores.setdefault(body[c : c + least - width], 257 + len(cores))
+            symbols += [x + 1 for x in body[:c]]
+            symbols.append(core)
+            symbols += [x + 1 for x in body[c + least - width :]]
+            symbols.append(0)
+            fit = min(c, len(body) - least) + 1
+            where += [(i, s + k) for k in range(fit)] + [None] * (len(body) - least + width + 2 - fit)
+    text = "".join(map(chr, symbols))
+    found, held, key = [], [], None
     for p in suffix_order(symbols):
         if where[p] is None:
             continue
-        now = text[p : p + least]
+        now = text[p : p + width + 1]
         if now != key:
             if len(held) > 1:
                 one = min(held)
-                out += [x for x in held if x != one]
+                found += [x for x in held if x != one]
             held, key = [], now
         held.append(where[p])
     if len(held) > 1:
         one = min(held)
-        out += [x for x in held if x != one]
+        found += [x for x in held if x != one]
+    for i, s in sorted(set(found)):
+        if out and out[-1][0] == i and out[-1][1] <= s <= out[-1][1] + out[-1][2]:
+            out[-1] = i, out[-1][1], s + least - out[-1][1]
+        else:
+            out.append((i, s, least))
     return out
 
 
-SPANS = "id long, at long, n int, group_key long, body binary"
-SPAN_NAMES = ["id", "at", "n", "group_key", "body"]
+PIECES = "key long, id long, at long, core int, body binary"
+PIECE_NAMES = [x.split()[0] for x in PIECES.split(", ")]
+SPANS = "n int, " + PIECES
+SPAN_NAMES = ["n", *PIECE_NAMES]
 
 
-def _spans(found, least):
-    """Covered windows as runs."""
-    found = sorted(set(found))
-    ids, ats, ns = [], [], []
-    for i, s in found:
-        if ids and ids[-1] == i and s <= ats[-1] + ns[-1]:
-            ns[-1] = s + least - ats[-1]
-        else:
-            ids.append(i)
-            ats.append(s)
-            ns.append(least)
-    return _batch((pa.array(ids, pa.int64()), pa.array(ats, pa.int64()), pa.array(ns, pa.int32()), pa.nulls(len(ids), pa.int64()), pa.nulls(len(ids), pa.binary())), SPAN_NAMES)
+def _spans(found):
+    ids, ats, ns = zip(*found) if found else ((), (), ())
+    n = len(ids)
+    return _batch((pa.array(ns, pa.int32()), pa.nulls(n, pa.int64()), pa.array(ids, pa.int64()), pa.array(ats, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())), SPAN_NAMES)
 
 
-def sort_groups(least: int, hot: int):
-    """Rows (key, id, at, body) where equal keys are neighbours. Gives covered runs, or the rows of hot groups."""
+def sort_groups(width: int, least: int, hot: int):
+    """Pieces where equal keys are neighbours. Gives covered runs, or the pieces of hot groups (n is null)."""
 
     def run(batches):
         held, key, spilled = [], None, False
-        joint: list = []
+        joint, size = [], 0
         for b in batches:
-            for k, i, s, body in zip(*(b.column(c).to_pylist() for c in range(4))):
+            for k, i, s, c, body in zip(*(b.column(x).to_pylist() for x in range(5))):
                 if k != key:
                     if spilled and held:
                         yield hot_rows(key, held)
                     elif len(held) > 1:
-                        joint += held
+                        joint.append(held)
+                        size += len(held)
                     held, key, spilled = [], k, False
-                    if len(joint) > 150:
-                        yield _spans(later_windows(joint, least), least)
-                        joint = []
+                    if size > 300:
+                        yield _spans(later_windows(joint, width, least))
+                        joint, size = [], 0
                 if held and held[-1][0] == i and held[-1][1] == s:
                     continue
-                held.append((i, s, body))
+                held.append((i, s, c, body))
                 if len(held) > hot or (spilled and len(held) > 500):
                     yield hot_rows(key, held)
                     held, spilled = [], True
@@ -238,70 +271,81 @@ def sort_groups(least: int, hot: int):
                 yield hot_rows(key, held)
                 held = []
         if not spilled and len(held) > 1:
-            joint += held
-        if spilled and held:
-            yield hot_rows(key, held)
+            joint.append(held)
         if joint:
-            yield _spans(later_windows(joint, least), least)
+            yield _spans(later_windows(joint, width, least))
 
     def hot_rows(k, held):
-        ids, ats, bodies = zip(*held)
-        return _batch((pa.array(ids, pa.int64()), pa.array(ats, pa.int64()), pa.nulls(len(ids), pa.int32()), pa.array([k] * len(ids), pa.int64()), pa.array(bodies, pa.binary())), SPAN_NAMES)
+        ids, ats, cores, bodies = zip(*held)
+        return _batch((pa.nulls(len(ids), pa.int32()), pa.array([k] * len(ids), pa.int64()), pa.array(ids, pa.int64()), pa.array(ats, pa.int64()), pa.array(cores, pa.int32()), pa.array(bodies, pa.binary())), SPAN_NAMES)
 
     return run
 
 
-def hot_windows(least: int):
-    """Every window of hot groups' stretches: (w, id, at)."""
+def dealt(columns):
+    key, i, s, c, body = zip(*columns) if columns else ((),) * 5
+    return _batch((pa.array(key, pa.int64()), pa.array(i, pa.int64()), pa.array(s, pa.int64()), pa.array(c, pa.int32()), pa.array(body, pa.binary())), PIECE_NAMES)
+
+
+def halves(width: int, half: int, least: int):
+    """The pieces of a hot group again, those of windows with up to `half` bytes before the core apart from those with more."""
 
     def run(batches):
-        for b in batches:
-            w, ids, ats = [], [], []
-            for i, s, body in zip(*(b.column(c).to_pylist() for c in range(3))):
-                for k in range(len(body) - least + 1):
-                    w.append(xxhash.xxh3_128_digest(body[k : k + least]))
-                    ids.append(i)
-                    ats.append(s + k)
-            yield _batch((pa.array(w, pa.binary()), pa.array(ids, pa.int64()), pa.array(ats, pa.int64())), ["w", "id", "at"])
+        for batch in batches:
+            out = []
+            for k, i, s, c, body in zip(*(batch.column(x).to_pylist() for x in range(5))):
+                for a in (0, width - half):
+                    got = piece(body, c, a, a + half, least)
+                    if got is not None:
+                        at, core, part = got
+                        out.append((deal(k.to_bytes(8, "little", signed=True), a, part[core : core + least - half]), i, s + at, core, part))
+            yield dealt(out)
 
     return run
 
 
+def deal(under: bytes, a: int, core: bytes) -> int:
+    return xxhash.xxh3_64_intdigest(under + a.to_bytes(2, "little") + core) - 2**63
+
+
 def covered_runs(rows: DataFrame, least: int = 100, hot: int = 1000) -> DataFrame:
     """(id, at, n): byte runs to remove; they may touch and overlap. at counts from ROW * _row."""
-    side = (least - SEED) // 2
     met = find_stretches(rows, least).repartition("pk").sortWithinPartitions("pk", "h", "c", "id", "at").mapInArrow(meet, FOUND)
     met = common.written(met, "stretches")
-    whole = met.where("kind = 0").select("id", "at", "n")
+    out = met.where("kind = 0").select("id", "at", "n")
     wanted = met.where("kind = 1").groupBy(F.col("id").alias("_id"), F.shiftright("at", 40).alias("_row")).agg(F.collect_list(F.struct("h", (F.col("at") % ROW).alias("at"), "n", "lead")).alias("_w"))
+    # windows with up to `width` bytes before the anchor string, and those with more
+    width = (least - SEED) // 2
 
     def fetch(batches):
-        for b in batches:
-            keys, ids, ats, bodies = [], [], [], []
-            for i, r, body, want in zip(*(b.column(c).to_pylist() for c in range(4))):
+        for batch in batches:
+            out = []
+            for i, r, body, want in zip(*(batch.column(c).to_pylist() for c in range(4))):
                 for x in want:
-                    s, lead = x["at"], x["lead"]
-                    got = body[s : s + x["n"]]
-                    head, tail = got[max(0, lead - side) : lead], got[lead + SEED : lead + SEED + side]
-                    for which, part in ((b"R", tail), (b"L", head)):
-                        if len(part) == side:
-                            keys.append(xxhash.xxh3_64_intdigest(which + x["h"].to_bytes(8, "little", signed=True) + part) - 2**63)
-                            ids.append(i)
-                            ats.append(s + r * ROW)
-                            bodies.append(got)
-            yield _batch((pa.array(keys, pa.int64()), pa.array(ids, pa.int64()), pa.array(ats, pa.int64()), pa.array(bodies, pa.binary())), ["key", "id", "at", "body"])
-
-    parts = rows.join(wanted, ["_id", "_row"]).select("_id", "_row", "_body", "_w").mapInArrow(fetch, "key long, id long, at long, body binary")
-    found = parts.repartition("key").sortWithinPartitions("key", "id", "at").mapInArrow(sort_groups(least, hot), SPANS)
-    found = common.written(found, "suffix-groups")
-    out = whole.unionByName(found.where("n is not null").select("id", "at", "n"))
-    rest = found.where("n is null").select("id", "at", "body")
-    if rest.limit(1).count():
-        windows = common.written(rest.dropDuplicates(["id", "at"]).mapInArrow(hot_windows(least), "w binary, id long, at long"), "hot-windows")
-        place = F.struct("id", "at")
-        first = windows.groupBy("w").agg(F.min(place).alias("f"), F.max(place).alias("z")).where("f <> z").select("w", "f")
-        out = out.unionByName(windows.join(first, "w").where(place != F.col("f")).select("id", "at", F.lit(least).cast("int").alias("n")))
-    return out
+                    got, under = body[x["at"] : x["at"] + x["n"]], x["h"].to_bytes(8, "little", signed=True)
+                    for a in (0, least - SEED - width):
+                        part = piece(got, x["lead"], a, a + width, least)
+                        if part is not None:
+                            at, core, piece_ = part
+                            out.append((deal(under, a, piece_[core : core + least - width]), i, x["at"] + at + r * ROW, core, piece_))
+            yield dealt(out)
+
+    pieces = rows.join(wanted, ["_id", "_row"]).select("_id", "_row", "_body", "_w").mapInArrow(fetch, PIECES)
+    while True:
+        found = pieces.repartition("key").sortWithinPartitions("key", "id", "at").mapInArrow(sort_groups(width, least, hot), SPANS)
+        found = common.written(found, "suffix-groups")
+        out = out.unionByName(found.where("n is not null").select("id", "at", "n"))
+        rest = found.where("n is null").drop("n")
+        if not rest.limit(1).count():
+            return out
+        if width == 0:
+            # a piece is one window: all but the first of equal ones are covered
+            place = F.struct("id", "at")
+            first = rest.groupBy("body").agg(F.min(place).alias("f"), F.max(place).alias("z")).where("f <> z").select("body", "f")
+            return out.unionByName(rest.join(first, "body").where(place != F.col("f")).select("id", "at", F.lit(least).cast("int").alias("n")))
+        half = (width + 1) // 2 if width > 1 else 0
+        pieces = rest.select(*PIECE_NAMES).mapInArrow(halves(width, half, least), PIECES)
+        width = half
 
 
 def trimmed(docs: DataFrame, least: int = 100, hot: int = 1000) -> DataFrame:
