@@ -269,13 +269,14 @@ def sample_sizes(n: int, k: int, start: int = 100) -> list[int]:
     return out
 
 
-def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x", "y"), weight: str = "w", target: list[float] | None = None, max_iter: int = 50, max_balance: int = 20, cap: float | None = 0.05, threshold: float = 0.005, beta: str = "bbox", erosion: bool = True, bounds: bool = True, sample_start: int | None = 100, seed: str = "sfc", engine: str = "auto", stop: str = "both", balance: bool = True, limit: str = "avg", resume: str | None = None, digits: int | None = None) -> Partition:
+def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x", "y"), weight: str = "w", target: list[float] | None = None, max_iter: int = 50, max_balance: int = 20, cap: float | None = 0.05, threshold: float = 0.005, beta: str = "bbox", erosion: bool = True, bounds: bool = True, sample_start: int | None = 100, seed: str = "sfc", engine: str = "auto", stop: str = "both", balance: bool = True, limit: str = "avg", resume: str | None = None, digits: int | None = None, curve_dims=None, start: Centres | None = None) -> Partition:
     """Splits points (pid, dims, weight) into k blocks of equal weight (or of the shares in target) and small spread.
 
     threshold is relative to beta, the mean block diameter ('bbox': box diagonals, 'centre_gap': nearest centres). stop:
     'both' ends when centres rest and blocks balance, 'balance' at the first balanced result. balance=False is plain
     k-means. The best balanced iterate seen is returned; `balanced` tells whether there was one, `too_heavy` whether a
     single point outweighs a block's limit, so none can exist. resume: a folder to keep the centres of each round in.
+    start: centres of an earlier partition, in place of seeds. curve_dims: two or three dimensions for the curve sort, where dims has more.
     digits: centres and influences are rounded to so many places in every step, so that the result does not hang on the
     order in which sums are taken. counters has the seconds of the curve sort, the seeds and the rounds.
     """
@@ -284,7 +285,7 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
     exact = (lambda v: v) if digits is None else (lambda v: round(v, digits))
     clock = [time.perf_counter()]
     engine = engine if engine != "auto" else "expr" if k <= 16 else "tile"
-    data = written(ranks.spatial_sort(points.select("pid", *dims, weight), dims), "points")
+    data = written(ranks.spatial_sort(points.select("pid", *dims, weight), list(curve_dims or dims)), "points")
     n, whole, heaviest = data.agg(F.count("*"), F.sum(F.col(weight).cast("double")), F.max(weight)).first()
     clock.append(time.perf_counter())
     shares = target or [1 / k] * k
@@ -292,9 +293,9 @@ def balanced_kmeans(points: DataFrame, k: int, *, eps: float = 0.03, dims=("x",
         empty = data.select("pid", F.lit(0).alias("block"))
         return Partition(empty, Centres([]), True, 0.0, 0, 0, True, False)
     k_real = min(k, n)
-    seeds = ranks.random_seeds(data, k_real, dims) if seed == "random" else ranks.sfc_seeds(data, k_real, dims, "weight" if seed == "weight" else "rank")
-    centres = Centres.initial(seeds, dims)
-    centres = Centres([Centre(b, centres.rows[b % len(centres.rows)].at) for b in range(k)])
+    seeds = None if start else ranks.random_seeds(data, k_real, dims) if seed == "random" else ranks.sfc_seeds(data, k_real, dims, "weight" if seed == "weight" else "rank")
+    first = start or Centres.initial(seeds, dims)
+    centres = start or Centres([Centre(b, first.rows[b % len(first.rows)].at) for b in range(k)])
     clock.append(time.perf_counter())
     first_round = 0
     if resume:

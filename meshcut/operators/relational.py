@@ -7,6 +7,8 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from meshcut.sources.scratch import written
+
 
 def scale(p: DataFrame, dims, how: str = "range") -> DataFrame:
     """'range': to 0..1 over the bounding box; 'std': mean 0, deviation 1; 'none'. Flat axes become 0."""
@@ -74,7 +76,8 @@ def collapse(p: DataFrame, dims) -> DataFrame:
 def as_of(left: DataFrame, right: DataFrame, t: str, values: list[str], by: list[str] | None = None, slack: float | None = None) -> DataFrame:
     """left with the values of the latest right row at or before t (within `by`, or within coarse time buckets).
 
-    Without `by`, rows meet in buckets of t and every bucket also gets the last right row before it, so no window runs
+    Without `by`, each right row gets the next one's t from its neighbour in a range-partitioned sort (the last of a
+    partition from the partitions after it, of which there is one row each), and rows meet in buckets of t; no window runs
     over all rows.
     """
     by = by or []
@@ -84,14 +87,23 @@ def as_of(left: DataFrame, right: DataFrame, t: str, values: list[str], by: list
         w = Window.partitionBy(*by).orderBy(t, "_side").rowsBetween(Window.unboundedPreceding, 0)
         out = both.withColumn("_v", F.last("_v", ignorenulls=True).over(w)).where("_side = 1")
         return out.select(*left.columns, *(F.col(f"_v.{v}").alias(v) for v in values))
-    ends = right.select(t, *values).withColumn("_to", F.lead(t).over(Window.orderBy(t)))
-    ends = ends.withColumnRenamed(t, "_from")
+    ends = with_next(right.select(t, *values), t).withColumnRenamed(t, "_from")
     span = left.agg(F.min(t).alias("lo"), F.max(t).alias("hi")).first()
     width = slack or max((span["hi"] - span["lo"]) / 1000, 1e-9)
     hit = interval_join(left.select(*left.columns), ends.withColumn("_to", F.coalesce("_to", F.lit(span["hi"] + width))), t, "_from", "_to", width, how="left")
     return hit.select(*left.columns, *values)
 
 
+def with_next(df: DataFrame, t: str) -> DataFrame:
+    """df with `_to`, the next row's t in the order of t (null for the last); rows of equal t follow one another."""
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = written(df.repartitionByRange(parts, t).withColumn("_part", F.spark_partition_id()), "by-time")
+    firsts = dealt.groupBy("_part").agg(F.min(t).alias("_first"))
+    after = firsts.select("_part", F.lead("_first").over(Window.orderBy("_part")).alias("_after"))  # a row a partition
+    out = dealt.withColumn("_to", F.lead(t).over(Window.partitionBy("_part").orderBy(t)))
+    return out.join(F.broadcast(after), "_part").withColumn("_to", F.coalesce("_to", "_after")).drop("_part", "_after")
+
+
 def interval_join(left: DataFrame, right: DataFrame, t: str, lo: str, hi: str, width: float, how: str = "inner") -> DataFrame:
     """Rows of left whose t is in [lo, hi) of a row of right: both meet in buckets of `width`, an equi join and a range test."""
     l = left.withColumn("_k", F.floor(F.col(t) / width))

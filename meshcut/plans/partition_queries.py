@@ -290,7 +290,7 @@ for _name, _move, _adapt in (("balance_passes_3", False, True), ("lloyd_3rounds"
     query(_name, ctes(*_parts, select=f"SELECT pid, block FROM {_last}"))(lambda spark, d, m=_move, a=_adapt: run_rounds(spark, d, 3, m, a))
 
 
-def kmeans_sql(src: str, start: str, k: int, dims: str = "xy", rounds: int = 3, turns: int = 3, eps: float = 0.03, goal: str = "1.0::DOUBLE/{k}") -> list[tuple[str, str]]:
+def kmeans_sql(src: str, start: str, k: int, dims: str = "xy", rounds: int = 3, turns: int = 3, eps: float = 0.03, goal: str = "1.0::DOUBLE/{k}", erosion: bool = True) -> list[tuple[str, str]]:
     """CTEs of the whole method in a fixed number of rounds, ending in (kmeans_blocks: pid, block): in each round up to
     `turns` balance passes, of which none changes anything once blocks are within eps; then the centre move and the erosion
     of influence by the move over the mean box diagonal. The best balanced round's centres, or else the last, make the blocks."""
@@ -312,6 +312,7 @@ def kmeans_sql(src: str, start: str, k: int, dims: str = "xy", rounds: int = 3,
         shift = "sqrt(" + " + ".join(f"({c}-old_{c})*({c}-old_{c})" for c in dims) + ")"
         width = f"(SELECT avg(sqrt({' + '.join(f'e{c}*e{c}' for c in dims)})) FROM ks{here})"
         alpha = f"CASE WHEN {width} > 0 THEN 2/(1+exp(-{shift}/{width}))-1 WHEN {shift} > 0 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END"
+        alpha = alpha if erosion else "0.0::DOUBLE"
         parts.append((f"k{r + 1}_0", f"SELECT block, {', '.join(dims)}, round(exp((1-({alpha}))*ln(influence)), 9) AS influence FROM (SELECT c.block, {moved}, c.influence FROM k{here} c LEFT JOIN ks{here} s ON c.block = s.block)"))
     last = turns - 1
     parts.append(("kbest", "SELECT r FROM (" + " UNION ALL ".join(f"SELECT {r} AS r, imb FROM km{r}_{last}" for r in range(rounds)) + f") WHERE imb <= {eps}::DOUBLE ORDER BY imb, r DESC LIMIT 1"))

@@ -21,7 +21,7 @@ SETS = {
     "w4": ("events2d", ["x", "y"], 0.3, True),
 }
 METHODS = ("kmeans", "hilbert", "morton", "jagged", "rcb", "rib", "lloyd", "hash")
-REPORT = "workload string, method string, k int, cut double, max_comm long, total_comm long, harm_diam double, imbalance double, ghosts long, aspect double, seconds double"
+REPORT = "workload string, method string, k int, cut double, max_comm long, total_comm long, harm_diam double, imbalance double, ghosts long, aspect double, seconds double, product_seconds double"
 
 
 def run_method(method: str, p: DataFrame, k: int, dims: list[str], **more) -> DataFrame:
@@ -50,8 +50,9 @@ def inputs(spark, wid: str, sf_dir: str) -> tuple[DataFrame, DataFrame, list[str
     return written(p, "points"), written(edges, "edges"), dims
 
 
-def run(spark, wid: str, sf_dir: str, methods=METHODS, ks=(8,), repeat: int = 1, diameters: bool = True) -> DataFrame:
-    """One report row a method and k; seconds are the mean of `repeat` runs, each ended by writing the assignment."""
+def run(spark, wid: str, sf_dir: str, methods=METHODS, ks=(8,), repeat: int = 1, diameters: bool = True, products: int = 0) -> DataFrame:
+    """One report row a method and k; seconds are the mean of `repeat` runs, each ended by writing the assignment;
+    product_seconds the mean of so many sparse products (null for none)."""
     p, edges, dims = inputs(spark, wid, sf_dir)
     rows = []
     for k in ks:
@@ -68,28 +69,35 @@ def run(spark, wid: str, sf_dir: str, methods=METHODS, ks=(8,), repeat: int = 1,
             imb = kmeans.imbalance(loads, [sum(loads) / k] * len(loads))
             ghosts = measures.boundary_vertices(edges, a).count()
             aspect = measures.block_aspect(p, a, dims).agg(F.avg("aspect")).first()[0]
-            rows.append((wid, m, k, float(cut), comm[0], comm[1], diam, float(imb), ghosts, aspect, mean(took)))
+            vec = p.select("pid", F.lit(1.0).alias("val"))
+            product = measures.time_spmv(edges, a, vec, products) if products else None
+            rows.append((wid, m, k, float(cut), comm[0], comm[1], diam, float(imb), ghosts, aspect, mean(took), product))
     return spark.createDataFrame(rows, REPORT)
 
 
 @query("w14_tolerance")
 def w14_tolerance(spark, d):
-    """Balance at a tolerance of 3 and 5 per cent."""
-    p = points.lattice2d(spark, d)
+    """Balance at a tolerance of 3 and 5 per cent, in the plane and in space, with weights."""
     rows = []
-    for eps in (0.03, 0.05):
-        r = kmeans.balanced_kmeans(p, 8, eps=eps, max_iter=15, stop="balance")
-        rows.append((eps, r.balanced, float(r.imbalance), r.passes))
-    return spark.createDataFrame(rows, "eps double, balanced boolean, imbalance double, passes int")
+    for name, dims in (("lattice2d", ["x", "y"]), ("lattice3d", ["x", "y", "z"])):
+        p = written(getattr(points, name)(spark, d), "points")
+        for eps in (0.03, 0.05):
+            r = kmeans.balanced_kmeans(p, 8, dims=dims, eps=eps, max_iter=12, stop="balance")
+            rows.append((name, eps, r.balanced, float(r.imbalance), r.rounds, r.passes))
+    return spark.createDataFrame(rows, "points string, eps double, balanced boolean, imbalance double, rounds int, passes int")
 
 
 @query("w15_ablation")
 def w15_ablation(spark, d):
-    """Bounds, boxes, sampling, erosion and curve seeds switched off one at a time."""
-    p = points.lattice2d(spark, d)
+    """Bounds, boxes, sampling, erosion and curve seeds switched off one at a time: effort, balance and quality."""
+    p = written(points.lattice2d(spark, d), "points")
+    edges = written(meshes.lattice_edges(p, ["gx", "gy"]), "edges")
     switches = {"all": {}, "no_bounds": {"bounds": False}, "tile_engine": {"engine": "tile"}, "no_sampling": {"sample_start": None}, "no_erosion": {"erosion": False}, "random_seeds": {"seed": "random"}}
     rows = []
     for name, s in switches.items():
         r = kmeans.balanced_kmeans(p, 8, max_iter=8, stop="balance", **s)
-        rows.append((name, r.balanced, float(r.imbalance), r.rounds, r.passes, float(r.counters["skip_rate"]), float(r.counters["centres_per_point"])))
-    return spark.createDataFrame(rows, "switch string, balanced boolean, imbalance double, rounds int, passes int, skip_rate double, centres_per_point double")
+        a = written(r.assignment, "blocks")
+        sse = kmeans.sse(p.join(a.select("pid", "block"), "pid"), r.centres, ["x", "y"]).first()[0]
+        comm = measures.comm_summary(measures.comm_volume(edges, a.select("pid", "block"))).first()
+        rows.append((name, r.balanced, float(r.imbalance), r.rounds, r.passes, float(r.counters["skip_rate"]), float(r.counters["centres_per_point"]), float(sse), comm[1]))
+    return spark.createDataFrame(rows, "switch string, balanced boolean, imbalance double, rounds int, passes int, skip_rate double, centres_per_point double, sse double, total_comm long")

@@ -5,11 +5,14 @@ Every stateful operator has a watermark, so its state is bounded; block-keyed st
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from meshcut.operators import kmeans
-from meshcut.operators.kmeans import Centres
+from meshcut.operators.kmeans import Centre, Centres
+from meshcut.operators.relational import migration
 
 SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -60,27 +63,72 @@ def interval_events(events: DataFrame, first: str = "view", then: str = "purchas
 
 
 class Rebalancer:
-    """foreachBatch sink: running block weights (k rows on the driver), alerts while imbalance is over eps for `windows`
-    batches in a row, and a new warm-started partition then. A repeated batch id changes nothing."""
+    """foreachBatch sink: running block weights, alerts while imbalance is over eps for `windows` batches in a row, and then
+    other influences, or with repartition=True a new partition of the batch's points from the present centres on, whose
+    migration (was, now, n, w) is kept in `moves`.
+
+    The state (k rows) is written to `folder` after each batch under the batch's id, and read from there, so a restarted
+    stream goes on where it was and a repeated batch changes nothing. The states of the last two batches are kept.
+    """
 
-    def __init__(self, centres: Centres, eps: float = 0.03, windows: int = 2):
-        self.centres, self.eps, self.windows = centres, eps, windows
+    def __init__(self, centres: Centres, eps: float = 0.03, windows: int = 2, folder: str | None = None, repartition: bool = False):
+        self.centres, self.eps, self.windows, self.folder, self.repartition = centres, eps, windows, folder, repartition
         self.loads = [0] * len(centres.rows)
-        self.over, self.alerts, self.seen = 0, [], set()
+        self.over, self.alerts, self.moves, self.last = 0, [], [], -1
+
+    def _files(self, spark: SparkSession) -> dict[int, str]:
+        path = spark._jvm.org.apache.hadoop.fs.Path(self.folder)
+        fs = path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+        names = [f.getPath().getName() for f in fs.listStatus(path)] if fs.exists(path) else []
+        # a folder without the mark of success is a batch that was cut short
+        return {int(n.split("-")[1]): f"{self.folder}/{n}" for n in names if n.startswith("batch-") and fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{n}/_SUCCESS"))}
+
+    def _load(self, spark: SparkSession) -> None:
+        files = self._files(spark) if self.folder else {}
+        if files and max(files) > self.last:
+            self.last = max(files)
+            state = json.loads(spark.read.text(files[self.last]).first()[0])
+            self.loads, self.over = state["loads"], state["over"]
+            self.alerts, self.moves = [tuple(a) for a in state["alerts"]], [tuple(m) for m in state["moves"]]
+            self.centres = Centres([Centre(b, tuple(at), i) for b, at, i in state["centres"]])
+
+    def _save(self, spark: SparkSession, batch_id: int) -> None:
+        self.last = batch_id
+        if not self.folder:
+            return
+        state = {"loads": self.loads, "over": self.over, "alerts": self.alerts, "moves": self.moves, "centres": [[c.block, list(c.at), c.influence] for c in self.centres.rows]}
+        spark.createDataFrame([(json.dumps(state),)], "value string").coalesce(1).write.mode("overwrite").text(f"{self.folder}/batch-{batch_id}")
+        for n, path in self._files(spark).items():
+            if n < batch_id - 1:
+                p = spark._jvm.org.apache.hadoop.fs.Path(path)
+                p.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(p, True)
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.seen:
+        spark = batch.sparkSession
+        self._load(spark)
+        if batch_id <= self.last:
             return
-        self.seen.add(batch_id)
-        for r in kmeans.assign(as_points(batch), self.centres, ["x", "y"]).groupBy("block").agg(F.sum("w").alias("w")).collect():
+        p = as_points(batch)
+        for r in kmeans.assign(p, self.centres, ["x", "y"]).groupBy("block").agg(F.sum("w").alias("w")).collect():
             self.loads[r["block"]] += r["w"]
         mean = sum(self.loads) / len(self.loads)
         now = max(self.loads) / mean - 1 if mean else 0.0
         self.over = self.over + 1 if now > self.eps else 0
         if self.over >= self.windows:
             self.alerts.append((batch_id, now))
-            goals = [mean] * len(self.loads)
-            self.centres = self.centres.moved(influence=[c.influence * kmeans.influence_factor(g, s, 2) for c, g, s in zip(self.centres.rows, goals, self.loads)])
+            if self.repartition:
+                self._repartition(p, batch_id)
+            else:
+                self.centres = self.centres.moved(influence=[c.influence * kmeans.influence_factor(mean, s, 2) for c, s in zip(self.centres.rows, self.loads)])
+        self._save(spark, batch_id)
+
+    def _repartition(self, p: DataFrame, batch_id: int) -> None:
+        r = kmeans.balanced_kmeans(p, len(self.centres.rows), eps=self.eps, max_iter=10, start=self.centres)
+        old = kmeans.assign(p, self.centres, ["x", "y"])
+        moved = migration(old, r.assignment, p).where("was <> now").orderBy("was", "now").collect()
+        self.moves += [(batch_id, m["was"], m["now"], m["n"], m["w"]) for m in moved]
+        self.centres, self.over = r.centres, 0
+        self.loads = [0] * len(self.loads)
 
 
 def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:

@@ -6,7 +6,7 @@ import duckdb
 import pytest
 from conftest import DATA
 
-from meshcut.plans import measure_queries, partition_queries, relational_queries, stream_queries  # noqa: F401
+from meshcut.plans import experiment_queries, measure_queries, partition_queries, relational_queries, stream_queries  # noqa: F401
 from meshcut.plans.registry import ORACLES, QUERIES
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
