@@ -2,21 +2,25 @@
 
 The rules find e-mail addresses, IPv4 addresses, payment cards and phone numbers, leftmost and without overlap per kind.
 They are the seeds. The words before and after a seed induce lexical patterns (left word; left and right word); every
-token that holds a digit or an at sign, seed or not, is an instance of the patterns around it. Scores go back and forth on
-this graph: a pattern's confidence for a kind is the mean confidence of its distinct instances (with one more instance of
-none), an instance's is 1 for a seed and else 1 - prod(1 - confidence) over its patterns. After `rounds` rounds, patterns
-of at least `least_seeds` distinct seeds and `least_confidence` mark the other instances beside them, if these have
-`least_digits` digits or an at sign, as spans of the kind. Base spans always stay.
+token that holds an at sign or six digits, seed or not, is an instance of the patterns around it. Scores go back and forth on
+this graph: an instance's confidence for a kind is 1 for a seed of it and else 1 - prod(1 - confidence) over its patterns; a
+pattern's is the sum over its distinct instances, divided by that sum, the seeds of other kinds only, `doubt` times what is
+missing to 1 in the instances that are no seeds, and one more. So tokens never seen before weigh little against a pattern
+until it is known what they are, and a pattern gains as others vouch for its instances. After `rounds` rounds, patterns of
+at least `least_seeds` distinct seeds and `least_confidence` mark the other instances beside them as spans of the kind, the
+first kind of KINDS if several do. Base spans always stay; tokens that overlap one are no instances.
 
 Everything is native. The regular expressions start only at the first character of a run and take runs whole, so they are
 linear in the text, and repeats are of single characters, so long chains need no deep stack: separators inside a chain are
 first replaced by a control character of the same width. Texts are read once; only spans and contexts are shuffled.
-A null text is empty; rows that repeat an id are told apart by text, and identical rows get identical results.
+A null text is empty, as is one without a digit or an at sign; texts are taken whole, and the time is linear in their length
+but for sorting their spans; a null id is an id like others; rows that repeat an id are told apart by text, and identical
+rows get identical results. Columns other than doc_id and text are ignored, whatever they are called.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from meshcut.llm import common
@@ -116,7 +120,7 @@ def scanned(docs: DataFrame, *keep: Column) -> DataFrame:
         lead = F.length(x) - F.length(F.regexp_replace(x, r"^[^A-Za-z0-9@+]+", ""))
         return F.struct((start + lead).alias("s"), F.lit(-1).alias("k"), (start + lead + F.length(trimmed)).alias("e"), ((F.length(digits_of(x)) >= 6) | F.contains(x, F.lit("@"))).alias("ok"), F.xxhash64(F.lower(trimmed)).alias("inst"), left.alias("left"), right.alias("right"))
 
-    others = F.filter(F.transform("token_m", other), lambda r: r["ok"] & ~F.exists("_base", lambda b: (b["s"] < r["e"]) & (b["e"] > r["s"])))
+    others = F.filter(F.transform("token_m", other), lambda r: r["ok"])
     df = df.withColumn("_others", F.when(F.size("token_s") > 0, others))
     kept = [c for c in df.columns if not any(c.startswith(f"{k}_") for k in source)]
     return df.select(*kept)
@@ -126,34 +130,49 @@ def patterns_of(r: Column) -> Column:
     return F.array(F.concat(F.lit("L "), r["left"]), F.concat(F.lit("B "), r["left"], F.lit(" | "), r["right"]))
 
 
-def confident_patterns(graph: DataFrame, rounds: int, least_seeds: int, least_confidence: float) -> DataFrame:
+def confident_patterns(graph: DataFrame, rounds: int, least_seeds: int, least_confidence: float, doubt: float) -> DataFrame:
     """graph: distinct (pattern, inst, k); k is the kind of a seed, -1 of others. Gives (pattern, kind)."""
-    edges = graph.select("pattern", "inst").distinct()
-    size = edges.groupBy("pattern").agg(F.count("*").alias("n"))
-    seeds = graph.where("k >= 0").select("pattern", "inst", "k").distinct()
+    seeds = graph.where("k >= 0").distinct()
+    known = seeds.select("inst", "k").distinct()
+    # an instance that is a seed anywhere is one for all its patterns
+    edges = graph.select("pattern", "inst").distinct().join(known.select("inst").distinct().withColumn("_known", F.lit(1)), "inst", "left")
+    edges = edges.select("pattern", "inst", F.coalesce("_known", F.lit(0)).alias("_known"))
     backed = seeds.groupBy("pattern", "k").agg(F.count("*").alias("backing")).where(F.col("backing") >= least_seeds)
     edges = common.written(edges.join(backed.select("pattern").distinct(), "pattern", "left_semi"), "pii-edges")
-    known = seeds.select("inst", "k").distinct()
+    size = common.written(edges.groupBy("pattern").agg(F.sum("_known").alias("n_known"), F.sum(1 - F.col("_known")).alias("n_new")), "pii-sizes")
     belief = known.withColumn("c", F.lit(1.0))
     score = None
     for _ in range(rounds):
-        score = edges.join(belief, "inst").groupBy("pattern", "k").agg(F.sum("c").alias("c")).join(size, "pattern").join(backed, ["pattern", "k"])
-        score = common.written(score.select("pattern", "k", (F.col("c") / (F.col("n") + 1)).alias("confidence")), "pii-patterns")
-        raised = edges.join(score, "pattern").groupBy("inst", "k").agg((1 - F.exp(F.sum(F.log(1 - F.least("confidence", F.lit(0.999)))))).alias("c"))
-        both = known.withColumn("c", F.lit(1.0)).unionByName(raised.join(known, ["inst", "k"], "left_anti"))
-        belief = common.written(both, "pii-belief")
+        sums = edges.join(belief, "inst").groupBy("pattern", "k").agg(F.sum(F.col("c") * F.col("_known")).alias("seeds"), F.sum(F.col("c") * (1 - F.col("_known"))).alias("new"))
+        score = sums.join(size, "pattern").join(backed, ["pattern", "k"])
+        good = F.col("seeds") + F.col("new")
+        against = (F.col("n_known") - F.col("seeds")) + doubt * (F.col("n_new") - F.col("new")) + 1
+        score = common.written(score.select("pattern", "k", (good / (good + against)).alias("confidence")), "pii-patterns")
+        raised = edges.where("_known = 0").join(score, "pattern").groupBy("inst", "k").agg((1 - F.exp(F.sum(F.log(1 - F.least("confidence", F.lit(0.999)))))).alias("c"))
+        belief = common.written(known.withColumn("c", F.lit(1.0)).unionByName(raised), "pii-belief")
     return score.where(F.col("confidence") >= least_confidence).select("pattern", "k")
 
 
-def personal_data(docs: DataFrame, rounds: int = 3, least_seeds: int = 5, least_confidence: float = 0.8) -> DataFrame:
+def apart(marks: DataFrame) -> DataFrame:
+    """marks (doc_id, _th, r) without the tokens that overlap a base span of their text."""
+    mine = Window.partitionBy("doc_id", "_th").orderBy(F.col("r.s"), F.col("r.k"), F.col("r.e"))
+    base = F.col("r.k") >= 0
+    reached = F.max(F.when(base, F.col("r.e"))).over(mine.rowsBetween(Window.unboundedPreceding, -1))
+    following = F.min(F.when(base, F.col("r.s"))).over(mine.rowsBetween(1, Window.unboundedFollowing))
+    free = F.coalesce(F.col("_reached") <= F.col("r.s"), F.lit(True)) & F.coalesce(F.col("_next") >= F.col("r.e"), F.lit(True))
+    return marks.withColumns({"_reached": reached, "_next": following}).where(base | free).drop("_reached", "_next")
+
+
+def personal_data(docs: DataFrame, rounds: int = 3, least_seeds: int = 5, least_confidence: float = 0.8, doubt: float = 0.25) -> DataFrame:
     """doc_id, n_email, n_ip, n_card, n_phone, base and spans (arrays of s, k, e) of every row."""
     common.prepare(docs.sparkSession)
     rows = common.written(scanned(docs, F.col("doc_id"), common.text_hash().alias("_th")), "pii")
     place = F.explode(F.concat("_seeds", F.coalesce("_others", F.expr("filter(_seeds, x -> false)"))))
     marks = rows.where("size(_seeds) > 0 or size(_others) > 0").select("doc_id", "_th", place.alias("r"))
+    marks = common.written(apart(marks), "pii-marks")
     graph = marks.select(F.explode(patterns_of(F.col("r"))).alias("pattern"), F.col("r.inst").alias("inst"), F.col("r.k").alias("k")).distinct()
-    good = confident_patterns(common.written(graph, "pii-graph"), rounds, least_seeds, least_confidence)
-    loose = rows.where("size(_others) > 0").select("doc_id", "_th", F.explode("_others").alias("r"))
+    good = confident_patterns(common.written(graph, "pii-graph"), rounds, least_seeds, least_confidence, doubt)
+    loose = marks.where("r.k < 0")
     hits = loose.select("doc_id", "_th", "r.s", "r.e", F.explode(patterns_of(F.col("r"))).alias("pattern")).join(good, "pattern")
     found = hits.groupBy("doc_id", "_th", "s", "e").agg(F.min("k").alias("k")).groupBy("doc_id", "_th").agg(F.collect_set(F.struct("s", "k", "e")).alias("_more"))
     out = rows.select("doc_id", "_th", "_base").join(found.withColumnsRenamed({"doc_id": "_d", "_th": "_t"}), F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_th") == F.col("_t")), "left")
