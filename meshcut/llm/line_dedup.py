@@ -8,7 +8,9 @@ windows add up, so the whole later run goes, however long; a run that overlaps i
 
 Only lines' hashes, never texts or all pairs of a group, are shuffled to find repeats; counts and first positions are
 combined on the map side, so a line in a third of all texts stays cheap. Texts shorter than `run` lines, null and empty
-texts stay as they are. Identical rows (same id and text) count as one place: none of them is later than the other.
+texts stay as they are. Texts are taken whole, and the time is linear in their lines.
+Identical rows (same id and text) count as one place: none of them is later than the other. Other columns pass through,
+whatever they are called; names that begin with `_mc_` are taken.
 
 The query is this, as its SQL says. The pipeline stage also takes runs of fewer lines if they have `words` words or more, so
 that a repeated passage goes whether it is one long line or many short ones.
@@ -74,11 +76,13 @@ def later_lines(docs: DataFrame, run: int = 3, words: int | None = None) -> Data
 
     rows = common.written(common.doc_rows(docs, common.text_hash().alias("_th")).mapInArrow(places, PLACES), "lines")
     prints = rows.select("print", "_id", "_th", "first").groupBy("print").agg(F.min("_id").alias("i0"), F.max("_id").alias("i1"), F.min("_th").alias("t0"), F.max("_th").alias("t1"), F.min("first").alias("f0"), F.max("first").alias("f1"))
-    repeated = prints.where("i0 <> i1 or t0 <> t1 or f0 <> f1").select("print")
+    # written, so that both sides of the join come from exchanges of their own and Spark can split a hot print's rows
+    repeated = common.written(prints.where("i0 <> i1 or t0 <> t1 or f0 <> f1").select("print"), "prints")
     windows = rows.join(repeated, "print", "left_semi").select("run_hash", "_id", "_th", "first", "last")
     windows = common.written(windows, "runs")
     places_of = F.struct("_id", "_th", "first")
     before = windows.groupBy("run_hash").agg(F.min(places_of).alias("origin"), F.max(places_of).alias("end")).where("origin <> end").select("run_hash", "origin")
+    before = common.written(before, "origins")
     later = windows.join(before, "run_hash").where(places_of != F.col("origin"))
     return later.select("_id", "_th", F.explode(F.sequence("first", "last")).alias("line")).groupBy("_id", "_th").agg(F.collect_set("line").alias("gone"))
 
@@ -88,8 +92,10 @@ def dedup_lines(docs: DataFrame, run: int = 3, words: int | None = None) -> Data
     common.prepare(docs.sparkSession)
     keyed = docs.withColumns({"_mc_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(common.NO_ID)), "_mc_th": common.text_hash()})
     joined = keyed.join(later_lines(docs, run, words).toDF("_mc_id", "_mc_th", "_mc_gone"), ["_mc_id", "_mc_th"], "left")
-    rest = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_mc_gone", i)), "\n")
-    return joined.withColumn("text", F.when(F.col("_mc_gone").isNotNull(), rest).otherwise(F.col("text"))).drop("_mc_id", "_mc_th")
+    joined = joined.withColumn("_mc_lines", F.when(F.col("_mc_gone").isNotNull(), F.split("text", "\n")))
+    left = F.array_except(F.sequence(F.lit(0), F.size("_mc_lines") - 1), F.col("_mc_gone"))
+    rest = F.array_join(F.transform(left, lambda i: F.get("_mc_lines", i)), "\n")
+    return joined.withColumn("text", F.when(F.col("_mc_gone").isNotNull(), rest).otherwise(F.col("text"))).drop("_mc_id", "_mc_th", "_mc_lines")
 
 
 def line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

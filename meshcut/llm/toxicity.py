@@ -5,7 +5,9 @@ Features are the distinct n-grams (3 to 5 bytes of the lower-cased UTF-8 text, w
 logistic regression on these values gives the score; slots whose
 shares differ by less than `least_z` standard errors are left out. Null and empty texts have the n-grams of one space. Rows without a
 label, or whose label is null, are not learned from; without rows of both classes every score is the share of toxic rows
-among those there are (0 if none). Labels that repeat an id count once, as toxic if any says so.
+among those there are (0 if none). Labels that repeat an id count once, as toxic if any says so; of texts that repeat a
+labelled id the least is learned. A document with a null id is scored, never learned from nor held out; repeated rows get
+equal scores. Texts are taken whole, however long; columns of other names pass through, whatever they are called.
 
 The fit uses a bounded sample: the `per_class` labelled rows of either class with the least hash of their id, weighted
 back to the true class shares. That sample is fitted in one task; scoring is one map over all documents.
@@ -142,7 +144,7 @@ def toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = score_documents(docs, model, "doc_id")
     return scored.select(
         "doc_id",
-        (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0).alias("held_out"),
+        F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False)).alias("held_out"),
         "score",
         (F.col("score") >= 0.5).cast("int").alias("predicted"),
     )
