@@ -1,6 +1,6 @@
 """Near-duplicate stage: SimHash candidates on five-word shingles, kept if their shingle sets are 0.8 alike or more.
 
-Documents with equal word sequences are one class to begin with. Texts whose Jaccard similarity is 0.8 differ in some 10 %
+Documents with equal word sequences are one class to begin with. Texts whose Jaccard similarity is 0.8 differ in some 15 %
 of their fingerprint bits, so one 64-bit fingerprint with a small radius would miss them. Each text gets eight independent
 46-bit fingerprints (two 23-bit vectors each, from eight remixes of the shingle hashes); texts share a bucket of a
 fingerprint if both vectors have a Golay key in common, which holds whenever both are at most two bits apart. All members of
@@ -10,8 +10,10 @@ candidate groups: in each, the shingle sets of all texts are compared with one a
 against block, and the links that stand form the classes. Of each class the document with the least id stays (of equal ids
 the first text by hash).
 
-At a similarity of 0.8 a pair shares none of the eight buckets in about one of a hundred cases, and less above it. Null and
-empty texts are alike; a null id sorts first.
+Of 700 pairs each, 98.1 % were candidates at a similarity of 0.80 to 0.82 and 99.4 % at 0.82 to 0.86; a pair that is no
+candidate itself is still found if a chain of candidates joins it. Null and empty texts are alike; texts are taken whole,
+however long; a null id sorts first; rows that repeat an id with another text are documents of their own, and of identical
+rows one stays; other columns pass through, whatever they are called, but for names that begin with `_mc_`.
 """
 
 from __future__ import annotations

@@ -1,6 +1,6 @@
 """Packing along a space-filling curve: neighbours in a hashed vector space share training sequences.
 
-A document's vector is the mean of hashed signs of its byte 4-grams in three dimensions; the curve index of its cell orders
+A document's vector is the mean of three hash bytes of all its byte 4-grams (texts under four bytes are filled up with zeros); the curve index of its cell orders
 the documents (ties by id), one range shuffle deals them out, and each partition lays its documents end to end and cuts the
 stream every `length` tokens. A partition's last, partial sequence is cut into powers of two, which need no padding, so no
 token is padding at all.
@@ -91,12 +91,8 @@ def document_cells(bodies: list[bytes], bits: int = 10) -> np.ndarray:
     out = np.zeros((len(bodies), 3), np.uint32)
     top = (1 << bits) - 1
     for i, body in enumerate(bodies):
-        b = np.frombuffer(body, np.uint8)
-        m = len(b) // 4 * 4 - 4
-        if m <= 0:
-            out[i] = len(b)
-            continue
-        h = np.concatenate([b[o : o + m].view("<u4") for o in range(4)])
+        b = np.frombuffer(body.ljust(4, b"\0"), np.uint8)
+        h = np.concatenate([b[o : o + (len(b) - o) // 4 * 4].view("<u4") for o in range(4)])
         h = h * np.uint32(0x9E3779B1)
         h ^= h >> np.uint32(15)
         h *= np.uint32(0x85EBCA77)
