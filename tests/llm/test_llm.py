@@ -592,3 +592,22 @@ def test_fuzzy_passages_are_found(spark, least):
         planted.add((2 * n + 1, 2 * n))
     got = {(r["doc_id"], r["partner_id"]) for r in passage_chains.passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got <= planted and len(got) >= 0.9 * len(planted)
+
+
+def test_pipeline_on_odd_and_on_empty_tables(spark, odd, docs, tmp_path):
+    import corpus_pipeline
+
+    for name, rows in (("odd", odd), ("none", odd.limit(0))):
+        folder = f"{tmp_path}/{name}"
+        rows.write.parquet(f"{folder}/documents.parquet")
+        for t in ("labels", "benchmark"):
+            table = spark.read.parquet(f"{SF}/{t}.parquet")
+            (table if name == "odd" else table.limit(0)).write.parquet(f"{folder}/{t}.parquet")
+        out = corpus_pipeline.run(spark, folder)
+        got = out.collect()
+        if name == "none":
+            assert got == []
+        else:
+            # of 1, 2 and 3 one stays, of 4 and 5, and of the equal rows of 6
+            assert {r["doc_id"] for r in got} == {None, 1, 4, 6, 7, 8, 9}
+            assert all(sum(r["length"] for r in got if r["doc_id"] == i) >= 1 for i in (1, 4, 9))
