@@ -8,7 +8,7 @@ has been seen often enough, whatever the size of the corpus. Distributions are s
 suffix (`trust` virtual places), the root's towards uniform. Counts, divergence tests and smoothing are joins and
 aggregations of Spark, level by level; each symbol of a text is scored by the longest retained suffix of what came before it.
 
-Up to `broadcast` entries (16 bytes each at most) the tree goes to the executors as one hash table, to which the strings of
+Up to `broadcast` entries (some 25 bytes each) the tree goes to the executors as one hash table, to which the strings of
 depth + 1 symbols seen `least` times are added with what the tree says of them, as far as they fit; that changes no score.
 A larger tree is never collected: the texts' strings are then counted and joined with it, level by level, shuffled.
 
@@ -251,7 +251,7 @@ def joined_scores(docs: DataFrame, tree: DataFrame, depth: int, unseen: float) -
 SCORED = "doc_id long, uid long, n_tokens long, head_known long, head_sum double, score double, tail array<struct<token: binary, n: int>>"
 
 
-def scored(docs: DataFrame, depth: int = 5, least: int = 16, gain: float = 2.0, trust: float = 4.0, head: int = 50_000, broadcast: int = 20_000_000) -> DataFrame:
+def scored(docs: DataFrame, depth: int = 5, least: int = 16, gain: float = 2.0, trust: float = 4.0, head: int = 50_000, broadcast: int = 8_000_000) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     spark = docs.sparkSession
     learned = common.doc_rows(docs.where(in_training(F.col("doc_id"))))
