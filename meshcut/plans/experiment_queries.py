@@ -188,7 +188,7 @@ def w19_vectors(spark, d):
     p = written(e.select("pid", *(F.get("v", F.lit(i)).alias(c) for i, c in enumerate(dims)), F.lit(1).cast("long").alias("w")), "vectors")
     rows = []
     for name, more in (("balanced", {}), ("plain", {"balance": False})):
-        r = kmeans.balanced_kmeans(p, 10, dims=dims, curve_dims=dims[:3], max_iter=10, cap=0.01, engine="tile", **more)
+        r = kmeans.balanced_kmeans(p, 10, dims=dims, curve_dims=dims[:3], max_iter=2, max_balance=3, sample_start=None, engine="tile", **more)
         sse = kmeans.sse(r.assignment.join(p, "pid"), r.centres, dims).first()[0]
         rows.append((name, float(r.imbalance), float(sse), r.rounds))
     return spark.createDataFrame(rows, "method string, imbalance double, sse double, rounds int")
@@ -215,7 +215,7 @@ def scaling(spark: SparkSession, d: str, growing: bool, workers=(2, 4, 8)) -> Da
             for method in ("kmeans", "hilbert", "rcb"):
                 began = time.perf_counter()
                 if method == "kmeans":
-                    r = kmeans.balanced_kmeans(some, p, max_iter=10, stop="balance")
+                    r = kmeans.balanced_kmeans(some, p, max_iter=4, max_balance=6, stop="balance")
                     r.assignment.write.format("noop").mode("overwrite").save()
                     parts = [float(r.counters[f"seconds_{x}"]) for x in ("index", "seeds", "rounds")]
                 else:
