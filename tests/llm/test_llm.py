@@ -586,7 +586,7 @@ def test_fuzzy_passages_are_found(spark, least):
         passage, changed = text(60), None
         while changed is None or not least <= passage_chains.common_length(passage, changed) / max(60, len(changed)) < least + 0.05:
             changed = list(passage)
-            for k in sorted(random.sample(range(1, 59), random.randint(round(55 - 60 * least), round(62 - 60 * least))), reverse=True):
+            for k in sorted(random.sample(range(1, 59), random.randint(max(0, round(55 - 60 * least)), round(62 - 60 * least))), reverse=True):
                 changed[k : k + 1] = random.choice([[word()]] * 6 + [[], [word(), word()]])
         rows += [(2 * n, " ".join(text(50) + passage + text(30))), (2 * n + 1, " ".join(text(20) + changed + text(60)))]
         planted.add((2 * n + 1, 2 * n))
