@@ -274,3 +274,18 @@ def test_scan_is_pruned(spark):
     df = points.load(spark, SF, "lineitem", ["l_orderkey"], F.col("l_quantity") > 45)
     plan = df._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters" in plan and "GreaterThan(l_quantity,45" in plan and "l_comment" not in plan
+
+
+def test_samples_of_any_id(spark):
+    """Ids beyond 2**40 and below zero: no overflow, larger samples hold smaller ones, sizes near what is asked for."""
+    p = spark.range(4000).select((F.col("id") * 2_199_023_255_579 - 2**50).alias("pid"))
+    sizes = [p.where(kmeans.in_sample(n, 4000)) for n in (500, 1000, 4000)]
+    small, large, every = ({r[0] for r in s.collect()} for s in sizes)
+    assert small <= large <= every and len(every) == 4000
+    assert 350 <= len(small) <= 650 and 800 <= len(large) <= 1200
+
+
+def test_a_large_id_space_is_split(spark):
+    p = spark.range(600).select((F.col("id") + 2**41).alias("pid"), (F.col("id") % 30).cast("double").alias("x"), (F.col("id") / 30).alias("y"), F.lit(1).cast("long").alias("w"))
+    r = kmeans.balanced_kmeans(p, 3, max_iter=2, max_balance=3, sample_start=20)
+    assert r.assignment.count() == 600 and {"seconds_index", "seconds_seeds", "seconds_rounds"} <= set(r.counters)
