@@ -289,3 +289,11 @@ def test_a_large_id_space_is_split(spark):
     p = spark.range(600).select((F.col("id") + 2**41).alias("pid"), (F.col("id") % 30).cast("double").alias("x"), (F.col("id") / 30).alias("y"), F.lit(1).cast("long").alias("w"))
     r = kmeans.balanced_kmeans(p, 3, max_iter=2, max_balance=3, sample_start=20)
     assert r.assignment.count() == 600 and {"seconds_index", "seconds_seeds", "seconds_rounds"} <= set(r.counters)
+
+
+def test_sample_schedule_lists_the_rounds_of_its_sql(spark, tmp_path):
+    from meshcut.plans import partition_queries
+
+    n = 800 * 4096 + 10
+    spark.range(n).select(F.col("id").alias("event_id"), F.timestamp_seconds(F.lit(1.7e9)).alias("ts"), F.lit(1.0).alias("value")).write.parquet(f"{tmp_path}/events.parquet")
+    assert {r["round"] for r in partition_queries.sample_schedule(spark, str(tmp_path)).collect()} == set(range(12))
