@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from meshcut.sources.scratch import written
@@ -111,6 +113,51 @@ def interval_join(left: DataFrame, right: DataFrame, t: str, lo: str, hi: str, w
     return l.join(r, (l["_k"] == r["_k"]) & (F.col(t) >= F.col(lo)) & (F.col(t) < F.col(hi)), how).drop("_k")
 
 
+def near_counts(p: DataFrame, group: Column, t: str, reach: float = 1.0) -> DataFrame:
+    """(pid, near): rows of the same group whose t is at most `reach` before or after (of a null t: those of null t).
+
+    Rows meet in intervals of t, each also in those next to its own; a sorted interval answers each of its rows with two
+    searches, so neither a row nor a task reads a whole frame or group.
+    """
+    none, odd = F.lit(-(2**63)), F.lit(1 - 2**63)  # keys of null and of NaN
+    rows = p.select("pid", F.coalesce(group.cast("long"), none).alias("g"), F.col(t).cast("double").alias("t"))
+    # a little over the reach: t - reach and t + reach are rounded
+    slack = reach * (1 + 1e-9)
+    own = F.when(F.col("t").isNull(), none).when(F.isnan("t"), odd).otherwise(F.floor(F.col("t") / reach))
+    around = F.sequence(F.floor((F.col("t") - slack) / reach), F.floor((F.col("t") + slack) / reach))
+    dealt = rows.select("pid", "g", "t", F.explode(F.when(F.col("t").isNull() | F.isnan("t"), F.array(own)).otherwise(around)).alias("k"), own.alias("own"))
+    dealt = dealt.select("g", "k", "t", F.when(F.col("k") == F.col("own"), F.col("pid")).alias("pid"), (F.col("k") == F.col("own")).alias("mine"))
+
+    def count(batches):
+        key, held = None, []
+
+        def answer():
+            x, pid, mine = (np.concatenate(c) for c in zip(*held))
+            ask = x[mine]
+            if np.isnan(ask).all():
+                n = np.full(len(ask), len(x))
+            else:
+                n = np.searchsorted(x, ask + reach, "right") - np.searchsorted(x, ask - reach, "left")
+            return pa.RecordBatch.from_arrays([pa.array(pid[mine], pa.int64()), pa.array(n, pa.int64())], names=["pid", "near"])
+
+        for b in batches:
+            g, k, x, pid, mine = (b.column(c) for c in range(5))
+            g, k, x, mine = (c.to_numpy(zero_copy_only=False) for c in (g, k, x, mine))
+            pid = pid.fill_null(0).to_numpy(zero_copy_only=False)
+            edge = np.nonzero((g[1:] != g[:-1]) | (k[1:] != k[:-1]))[0] + 1
+            for s, e in zip(np.append(0, edge).tolist(), np.append(edge, len(g)).tolist()):
+                now = int(g[s]), int(k[s])
+                if now != key:
+                    if held:
+                        yield answer()
+                    key, held = now, []
+                held.append((x[s:e], pid[s:e], mine[s:e]))
+        if held:
+            yield answer()
+
+    return dealt.repartition("g", "k").sortWithinPartitions("g", "k", "t").mapInArrow(count, "pid long, near long")
+
+
 def migration(old: DataFrame, new: DataFrame, p: DataFrame) -> DataFrame:
     """(was, now, n, w): points and weight that go from block to block; null where a point is in one assignment only."""
     both = old.select("pid", F.col("block").alias("was")).join(new.select("pid", F.col("block").alias("now")), "pid", "full")

@@ -291,6 +291,22 @@ def test_a_large_id_space_is_split(spark):
     assert r.assignment.count() == 600 and {"seconds_index", "seconds_seeds", "seconds_rounds"} <= set(r.counters)
 
 
+def test_near_counts_are_those_of_a_range_frame(spark):
+    rows = [(i, i % 3, random.Random(i).choice([0.0, 1.0, 2.0, 1.5, 0.1 * (i % 40), -0.3 * (i % 7)])) for i in range(300)] + [(i, None if i % 2 else 1, None) for i in range(300, 310)] + [(310, 1, math.nan), (311, 1, math.nan)]
+    p = spark.createDataFrame(rows, "pid long, c long, x double")
+    got = dict(relational.near_counts(p, F.col("c"), "x").collect())
+    same = lambda a, b: a is None and b is None or (a is not None and b is not None and (math.isnan(a) and math.isnan(b) or a - 1 <= b <= a + 1))
+    assert got == {i: sum(same(x, y) for _, d, y in rows if d == c) for i, c, x in rows}
+
+
+def test_near_counts_read_no_whole_frame(spark):
+    """A group's rows are dealt to many keys: a window over the group had all of them in one task and read a frame a row."""
+    p = spark.range(300_000).select(F.col("id").alias("pid"), (F.col("id") % 3000 / 1000).alias("x"))
+    plan = relational.near_counts(p, F.lit(0), "x")._jdf.queryExecution().toString()
+    assert "Window" not in plan
+    assert relational.near_counts(p, F.lit(0), "x").agg(F.max("near"), F.count("*")).first() == (200_100, 300_000)
+
+
 def test_sample_schedule_lists_the_rounds_of_its_sql(spark, tmp_path):
     from meshcut.plans import partition_queries
 
