@@ -313,3 +313,10 @@ def test_sample_schedule_lists_the_rounds_of_its_sql(spark, tmp_path):
     n = 800 * 4096 + 10
     spark.range(n).select(F.col("id").alias("event_id"), F.timestamp_seconds(F.lit(1.7e9)).alias("ts"), F.lit(1.0).alias("value")).write.parquet(f"{tmp_path}/events.parquet")
     assert {r["round"] for r in partition_queries.sample_schedule(spark, str(tmp_path)).collect()} == set(range(12))
+
+
+def test_nearest_vectors_beyond_the_former_limit(spark):
+    """20 001 vectors were refused; ties go to the lower pid."""
+    p = spark.range(20_001).select(F.col("id").alias("pid"), F.array(F.col("id").cast("double"), F.lit(0.5)).alias("v"))
+    e = {(r["src"], r["dst"]) for r in meshes.knn_edges(p, 1).collect()}
+    assert e == {(i, i + 1) for i in range(20_000)}
