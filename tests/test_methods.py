@@ -320,3 +320,14 @@ def test_nearest_vectors_beyond_the_former_limit(spark):
     p = spark.range(20_001).select(F.col("id").alias("pid"), F.array(F.col("id").cast("double"), F.lit(0.5)).alias("v"))
     e = {(r["src"], r["dst"]) for r in meshes.knn_edges(p, 1).collect()}
     assert e == {(i, i + 1) for i in range(20_000)}
+
+
+def test_radius_pairs_meet_in_one_cell(spark):
+    """Equal to brute force in three dimensions, and points are repeated for half of the cells around theirs."""
+    random.seed(5)
+    rows = [(i, *(random.uniform(-2, 2) for _ in "xyz")) for i in range(300)]
+    got = meshes.radius_edges(spark.createDataFrame(rows, "pid long, x double, y double, z double"), 0.5, ["x", "y", "z"])
+    want = [(a[0], b[0]) for a in rows for b in rows if a[0] < b[0] and sum((u - v) ** 2 for u, v in zip(a[1:], b[1:])) <= 0.25]
+    assert sorted((r["src"], r["dst"]) for r in got.collect()) == sorted(want)
+    flat = meshes.radius_edges(spark.range(4).select(F.col("id").alias("pid"), F.lit(0.5).alias("x"), F.lit(0.5).alias("y")), 0.3)
+    assert flat._jdf.queryExecution().optimizedPlan().toString().count(" AS own#") <= 5
