@@ -96,7 +96,8 @@ def document_cells(bodies: list[bytes], bits: int = 10) -> np.ndarray:
         h = h * np.uint32(0x9E3779B1)
         h ^= h >> np.uint32(15)
         h *= np.uint32(0x85EBCA77)
-        v = h.view(np.uint8).reshape(-1, 4)[:, 1:].mean(axis=0)
+        # column sums of whole arrays: a mean over rows of three bytes costs several times as much
+        v = np.array([(h >> np.uint32(k) & np.uint32(255)).sum(dtype=np.int64) for k in (8, 16, 24)]) / len(h)
         out[i] = np.clip((0.5 + (v - 127.5) / 40) * top, 0, top)
     return out
 
