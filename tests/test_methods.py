@@ -331,3 +331,12 @@ def test_radius_pairs_meet_in_one_cell(spark):
     assert sorted((r["src"], r["dst"]) for r in got.collect()) == sorted(want)
     flat = meshes.radius_edges(spark.range(4).select(F.col("id").alias("pid"), F.lit(0.5).alias("x"), F.lit(0.5).alias("y")), 0.3)
     assert flat._jdf.queryExecution().optimizedPlan().toString().count(" AS own#") <= 5
+
+
+@pytest.mark.parametrize("name", ["filtered_agg"])
+def test_reports_read_a_table(spark, name):
+    from meshcut.plans import measure_queries, relational_queries  # noqa: F401
+    from meshcut.plans.registry import QUERIES
+
+    read = QUERIES[name](spark, SF).inputFiles()
+    assert any(t in f for t in ("lineitem.parquet", "events.parquet") for f in read)
