@@ -333,7 +333,7 @@ def test_radius_pairs_meet_in_one_cell(spark):
     assert flat._jdf.queryExecution().optimizedPlan().toString().count(" AS own#") <= 5
 
 
-@pytest.mark.parametrize("name", ["filtered_agg", "fit_trend", "join_nullsafe", "metric_corr", "metrics_map", "rank_methods", "ratio_geomean", "report_cube"])
+@pytest.mark.parametrize("name", ["filtered_agg", "fit_trend", "join_nullsafe", "metric_corr", "metrics_map", "rank_methods", "ratio_geomean", "report_cube", "report_grouping_sets"])
 def test_reports_read_a_table(spark, name):
     from meshcut.plans import measure_queries, relational_queries  # noqa: F401
     from meshcut.plans.registry import QUERIES
