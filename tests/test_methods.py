@@ -340,3 +340,14 @@ def test_reports_read_a_table(spark, name):
 
     read = QUERIES[name](spark, SF).inputFiles()
     assert any(t in f for t in ("lineitem.parquet", "events.parquet") for f in read)
+
+
+def test_radius_cuts_are_those_of_the_edges(spark):
+    random.seed(8)
+    p = spark.createDataFrame([(i, random.uniform(0, 3), random.uniform(-1, 1), random.randint(0, 3), i % 4) for i in range(400)], "pid long, x double, y double, one int, two int")
+    edges = meshes.radius_edges(p, 0.3)
+    got = measures.radius_cuts(p, 0.3, ["one", "two"], 4).collect()
+    for name in ("one", "two"):
+        a = p.select("pid", F.col(name).alias("block"))
+        assert {r["block"]: r["comm"] for r in got if r["method"] == name} == dict(measures.comm_volume(edges, a).collect())
+        assert sum(r["ends"] for r in got if r["method"] == name) == 2 * measures.edge_cut(edges, a).first()[0]
