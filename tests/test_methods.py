@@ -351,3 +351,23 @@ def test_radius_cuts_are_those_of_the_edges(spark):
         a = p.select("pid", F.col(name).alias("block"))
         assert {r["block"]: r["comm"] for r in got if r["method"] == name} == dict(measures.comm_volume(edges, a).collect())
         assert sum(r["ends"] for r in got if r["method"] == name) == 2 * measures.edge_cut(edges, a).first()[0]
+
+
+def test_stars_keep_the_pieces():
+    import pyarrow as pa
+
+    random.seed(9)
+    pairs = [tuple(random.sample(range(0, 60), 2)) for _ in range(40)]
+    batches = [pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*pairs[k : k + 10])], names=["src", "dst"]) for k in range(0, 40, 10)]
+
+    def pieces(links):
+        of = {v: {v} for p in pairs for v in p}
+        for u, v in links:
+            both = of[u] | of[v]
+            of.update(dict.fromkeys(both, both))
+        return {frozenset(x) for x in of.values()}
+
+    for most in (5, 1000):
+        links = [tuple(r.values()) for b in measures.stars(batches, most) for r in b.to_pylist()]
+        assert pieces(links) == pieces(pairs)
+    assert len(links) == len(pieces(pairs) and {v for p in pairs for v in p}) - len(pieces(pairs))
