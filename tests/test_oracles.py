@@ -42,3 +42,20 @@ def test_same_rows(spark, con, name):
     want = rows([c[0] for c in sql.description], sql.fetchall())
     assert sorted(df.columns) == sorted(c[0] for c in sql.description)
     assert got == want
+
+
+def test_class_ratios_compute_their_reports_side_by_side(spark, monkeypatch):
+    """Each report waits until all five have begun."""
+    import threading
+
+    from meshcut.plans import experiment_queries as EQ
+
+    begun = threading.Barrier(len(EQ.CLASSES), timeout=20)
+
+    def report(s, d):
+        begun.wait()
+        return s.createDataFrame([(m, w, w, w) for m, w in (("kmeans", 2), ("hash", 6))], "method string, cut long, max_comm long, total_comm long")
+
+    for name in EQ.CLASSES:
+        monkeypatch.setitem(EQ.QUERIES, name, report)
+    assert {tuple(r) for r in EQ.w6_class_ratios(spark, "none").collect()} == {(c, "hash", 3.0, 3.0, 3.0) for c in ("2d", "2.5d", "3d")}
