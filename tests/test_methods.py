@@ -371,3 +371,18 @@ def test_stars_keep_the_pieces():
         links = [tuple(r.values()) for b in measures.stars(batches, most) for r in b.to_pylist()]
         assert pieces(links) == pieces(pairs)
     assert len(links) == len(pieces(pairs) and {v for p in pairs for v in p}) - len(pieces(pairs))
+
+
+def test_sample_schedule_has_every_round(spark, tmp_path):
+    """Round 12 of 3 276 810 events was left out, in the query and in its SQL."""
+    import duckdb
+
+    from meshcut.plans import partition_queries
+    from meshcut.plans.registry import ORACLES
+
+    n = 800 * 4096 + 10
+    spark.range(n).select(F.col("id").alias("event_id"), F.timestamp_seconds(F.lit(1.7e9)).alias("ts"), F.lit(1.0).alias("value")).write.parquet(f"{tmp_path}/events.parquet")
+    got = {(r["round"], r["n"]) for r in partition_queries.sample_schedule(spark, str(tmp_path)).collect()}
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
+    assert {r for r, _ in got} == set(range(13)) and got == set(con.execute(ORACLES["sample_schedule"]).fetchall())
