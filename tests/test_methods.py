@@ -386,3 +386,28 @@ def test_sample_schedule_has_every_round(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
     assert {r for r, _ in got} == set(range(13)) and got == set(con.execute(ORACLES["sample_schedule"]).fetchall())
+
+
+@pytest.mark.parametrize("dims", [XY, ["x", "y", "z"]])
+def test_pieces_of_a_geometric_graph_without_its_edges(spark, monkeypatch, dims):
+    """Equal to the pieces over all edges, in crowds, chains, curved gaps of less or more than r and odd points; 4000 points
+    in one place had 8 million edges made."""
+    random.seed(10 + len(dims))
+    spot = lambda c, w: [c + random.uniform(-w, w) for _ in dims]
+    rows = [spot(random.choice([0.0, 0.6, 1.9]), 0.35) for _ in range(300)] + [spot(random.uniform(-4, 8), 1) for _ in range(200)]
+    for n in range(60):
+        for turn in (1.0, 0.66 + 0.02 * (n % 2)):
+            rows.append([20 + turn * math.cos(n / 30), turn * math.sin(n / 30), 0.0][: len(dims)])
+    p = [(i, *x, i % 3 if i < 300 else 0) for i, x in enumerate(rows)]
+    p += [(1000 + i, *v, 1) for i, v in enumerate(([float("nan")] * len(dims), [None] * len(dims)))]
+    p = spark.createDataFrame(p, "pid long, " + ", ".join(f"{d} double" for d in dims) + ", block int")
+    a = p.select("pid", "block")
+    for r in (0.05, 0.3, 0.34, 0.9):
+        edges = meshes.radius_edges(p.where("pid < 1000"), r, dims)
+        plain = edges.select("*")
+        assert not hasattr(plain, "_geometric")
+        assert dict(measures.components(edges, a).collect()) == dict(measures.components(plain, a).collect()), r
+    crowd = spark.range(4000).select(F.col("id").alias("pid"), *(F.lit(0.5).alias(d) for d in dims))
+    monkeypatch.setattr(measures, "edge_blocks", None)
+    blocks = crowd.select("pid", (F.col("pid") % 2).cast("int").alias("block"))
+    assert dict(measures.components(meshes.radius_edges(crowd, 0.3, dims), blocks).collect()) == {0: 1, 1: 1}
